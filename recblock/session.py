@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -37,3 +38,11 @@ def cut(df: DataFrame) -> DataFrame:
     iterations don't grow the plan and lost executors don't cost a recomputation."""
     checkpoint_root(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def stored(df: DataFrame) -> DataFrame:
+    """As cut(), in columns: ``df`` written as Parquet to the shared folder and read again."""
+    spark = df.sparkSession
+    path = f"{checkpoint_root(spark)}/stored-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
