@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from recblock.llm import textkernel as K
 from recblock.llm.minhash_join import packed_texts
+from recblock.session import stored
 
 LENGTH, GRAM = 200, 64
 GROUP, IN_MEMORY = 20_000, 64 << 20
@@ -84,17 +85,18 @@ def _text_anchors(data: np.ndarray, offs: np.ndarray, length: int) -> tuple[np.n
 
 
 def anchor_rows(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """h, c, doc_id, pos, end (of the context) of all anchors."""
+    """h, c, doc_id and place of all anchors. place: where the anchor stands, times 256, and by
+    how much the text's end shortens the context."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             for a, _, data, offs in K.chunks(batch.column(1)):
                 doc, at, h, c = _text_anchors(data, offs, length)
-                end = np.minimum(at + length, (offs[1:] - offs[:-1])[doc])
-                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(c), pa.array(ids[a + doc].astype(np.int64)), pa.array(at.astype(np.int32)), pa.array(end.astype(np.int32))], ["h", "c", "doc_id", "pos", "end"])
+                short = np.maximum(at + length - np.diff(offs)[doc], 0)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(c), pa.array(ids[a + doc].astype(np.int64)), pa.array(at * 256 + short)], ["h", "c", "doc_id", "place"])
 
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, "h long, c long, doc_id long, pos int, end int")
+    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, "h long, c long, doc_id long, place long")
 
 
 def repeated_columns(columns: np.ndarray, left: np.ndarray, right: np.ndarray, group: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
@@ -186,7 +188,7 @@ def repeated_contexts(contexts: DataFrame, length: int = LENGTH, gram: int = GRA
 
 
 def _cut_contexts(texts: DataFrame, length: int, gram: int) -> DataFrame:
-    """``texts(z, wanted array<struct<h, c, pos, end>>)`` to contexts."""
+    """``texts(z, wanted array<struct<h, c, place>>)`` to contexts."""
     reach = length - gram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -196,8 +198,9 @@ def _cut_contexts(texts: DataFrame, length: int, gram: int) -> DataFrame:
             for z, wanted in zip(batch.column("z"), batch.column("wanted"), strict=True):
                 text = un.decompress(z.as_py())
                 for w in wanted.as_py():
-                    left = min(reach, w["pos"])
-                    for column, value in zip(out, (w["h"], w["c"], text[w["pos"] - left : w["end"]], left), strict=True):
+                    at, short = divmod(w["place"], 256)
+                    left = min(reach, at)
+                    for column, value in zip(out, (w["h"], w["c"], text[at - left : at + length - short], left), strict=True):
                         column.append(value)
                 if len(out[0]) >= 20_000:
                     yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int32())], ["h", "c", "x", "left"])
@@ -213,19 +216,20 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     reach = length - gram
     every = anchor_rows(docs, length)
     known = every.groupBy("h").agg(F.count("*").alias("n"), F.min("c").alias("c1"), F.max("c").alias("c2")).where("n > 1").select("h", (F.col("c1") == F.col("c2")).alias("alike"))
-    shared = every.join(known, "h")
-    start = F.greatest(F.lit(0), F.col("pos") - reach)
-    alike = shared.where("alike").select("doc_id", start.alias("s"), F.col("end").alias("e"))
+    shared = stored(every.join(known, "h"))
+    pos = F.shiftright("place", 8)
+    start, end = F.greatest(F.lit(0), pos - reach), pos + length - F.col("place").bitwiseAND(F.lit(255))
+    alike = shared.where("alike").select("doc_id", start.alias("s"), end.alias("e"))
     mixed = shared.where("not alike")
-    classes = mixed.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "pos", "end")).alias("at"))
-    wanted = classes.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", F.col("at.pos").alias("pos"), F.col("at.end").alias("end"))).alias("wanted"))
+    classes = stored(mixed.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "place")).alias("at")))
+    wanted = classes.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", F.col("at.place").alias("place"))).alias("wanted"))
     texts = packed_texts(docs)
     contexts = _cut_contexts(texts.join(wanted, "doc_id"), length, gram).repartition("h").sortWithinPartitions("h", "c")
     found = repeated_contexts(contexts, length, gram)
     # a context that stands at several places is repeated whole; the others where the construction says so
     several = classes.where("n > 1").select("h", "c", F.lit(-reach).alias("lo"), F.lit(length).alias("hi"))
     covered = found.unionByName(several).groupBy("h", "c").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    unlike = mixed.join(covered, ["h", "c"]).select("doc_id", F.greatest(F.lit(0), F.col("pos") + F.col("lo")).alias("s"), F.least(F.col("end"), F.col("pos") + F.col("hi")).alias("e"))
+    unlike = mixed.join(covered, ["h", "c"]).select("doc_id", F.greatest(F.lit(0), pos + F.col("lo")).alias("s"), F.least(end, pos + F.col("hi")).alias("e"))
     by_doc = alike.unionByName(unlike).groupBy("doc_id").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
     return texts.join(by_doc, "doc_id", "left")
 
