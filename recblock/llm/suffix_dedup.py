@@ -215,7 +215,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> D
     overlapping, that cover exactly the bytes of its repeated strings."""
     reach = length - gram
     every = anchor_rows(docs, length)
-    known = every.groupBy("h").agg(F.count("*").alias("n"), F.min("c").alias("c1"), F.max("c").alias("c2")).where("n > 1").select("h", (F.col("c1") == F.col("c2")).alias("alike"))
+    known = stored(every.groupBy("h").agg(F.count("*").alias("n"), F.min("c").alias("c1"), F.max("c").alias("c2")).where("n > 1").select("h", (F.col("c1") == F.col("c2")).alias("alike")))
     shared = stored(every.join(known, "h"))
     pos = F.shiftright("place", 8)
     start, end = F.greatest(F.lit(0), pos - reach), pos + length - F.col("place").bitwiseAND(F.lit(255))
