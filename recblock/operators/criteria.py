@@ -102,18 +102,35 @@ def edit_below(a: Column, b: Column, d: int) -> Column:
     return F.levenshtein(a, b, d - 1) >= 0
 
 
+def near_values(records: DataFrame, field: str, d: int) -> DataFrame:
+    """Distinct values of a field whose edit distance is below d, both ways. Values, not records,
+    are compared; a text's length bounds its distance, so lengths are joined within d - 1."""
+    v = records.select(F.col(field).alias("va")).where("va is not null").distinct()
+    lengths = F.explode(F.sequence(F.length("vb") - (d - 1), F.length("vb") + (d - 1)))
+    other = v.select(F.col("va").alias("vb")).select("vb", lengths.alias("n"))
+    return v.withColumn("n", F.length("va")).join(other, "n").where(edit_below(F.col("va"), F.col("vb"), d)).select(F.col("va").alias(f"{field}_a"), F.col("vb").alias(f"{field}_b"))
+
+
 def criterion_pairs(records: DataFrame, criterion: Criterion) -> DataFrame:
-    """(id_a, id_b) that the criterion keeps."""
+    """(id_a, id_b) that the criterion keeps. With an edit distance, candidates come from the near
+    values of its fields, which are few; else from one equi-join per conjunct."""
     fields = sorted({f for s in criterion.keeps for f in s} | set(criterion.edit))
     side = lambda x: records.select(F.col("rec_id").alias(f"id_{x}"), *[F.col(f).alias(f"{f}_{x}") for f in fields])
     agree = lambda s: F.coalesce(_and(F.col(f"{f}_a") == F.col(f"{f}_b") for f in sorted(s)), F.lit(False))
+    if criterion.edit:
+        near = side("a")
+        for f in criterion.edit:
+            near = near.join(near_values(records, f, criterion.edit_at), f"{f}_a")
+        both = near.join(side("b"), [f"{f}_b" for f in criterion.edit]).where("id_a < id_b")
+        kept = F.lit(False)
+        for s in criterion.keeps:
+            kept = kept | agree(s)
+        return both.where(kept).select("id_a", "id_b")
     out = None
     for k, s in enumerate(criterion.keeps):
         part = side("a").join(side("b"), [F.col(f"{f}_a") == F.col(f"{f}_b") for f in sorted(s)]).where("id_a < id_b")
         for earlier in criterion.keeps[:k]:
             part = part.where(~agree(earlier))
-        for f in criterion.edit:
-            part = part.where(edit_below(F.col(f"{f}_a"), F.col(f"{f}_b"), criterion.edit_at))
         part = part.select("id_a", "id_b")
         out = part if out is None else out.unionByName(part)
     return out
@@ -140,17 +157,24 @@ def criterion_counts(records: DataFrame, criteria: dict[str, Criterion]) -> Data
             own[s] = own.get(s, 0) + 1
         signed[name] = {s: n for s, n in own.items() if n}
     sets = sorted({s for own in signed.values() for s in own}, key=sorted)
-    rows = []
-    for with_entity in (False, True):
-        more = ["entity_id"] if with_entity else []
-        for i, s in enumerate(sets):
-            groups = records.dropna(subset=sorted(s)).groupBy(*sorted(s), *more).agg(F.count("*").alias("c"))
-            rows.append(groups.agg(F.coalesce(F.sum(choose2(F.col("c"))), F.lit(0)).alias("pairs")).select(F.lit(i).alias("s"), F.lit(with_entity).alias("true_pairs"), "pairs"))
-    union = rows[0]
-    for x in rows[1:]:
-        union = union.unionByName(x)
-    weights = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.lit(i).alias("i"), F.lit(own[s]).alias("n")) for r, own in signed.items() for i, s in enumerate(sets) if s in own]))
-    joined = union.select("s", "true_pairs", "pairs", weights.alias("w")).where("w.i = s")
+    fields = sorted({f for s in sets for f in s})
+    one, counts = F.lit(1), []
+    with_sets = [[*sorted(s), *more] for s in sets for more in ([], ["entity_id"])]
+    view = records.select("entity_id", *fields).dropna(how="all", subset=fields)
+    view.createOrReplaceTempView("criterion_records")
+    columns = ", ".join([*fields, "entity_id"])
+    grouped = view.sparkSession.sql(f"SELECT {columns}, grouping_id({columns}) AS g, count(*) AS c FROM criterion_records GROUP BY {columns} GROUPING SETS ({', '.join('(' + ', '.join(x) + ')' for x in with_sets)})")
+    order = [*fields, "entity_id"]
+    for i, s in enumerate(sets):
+        for flag in (False, True):
+            inside = set(s) | ({"entity_id"} if flag else set())
+            counts.append((sum(1 << (len(order) - 1 - k) for k, f in enumerate(order) if f not in inside), i, flag))
+    numbers = records.sparkSession.createDataFrame([(g, i, f, [(r, own[sets[i]]) for r, own in signed.items() if sets[i] in own]) for g, i, f in counts], "g long, s int, true_pairs boolean, w array<struct<rule:string,n:int>>")
+    whole = one
+    for k, f in enumerate(fields):  # a null agrees with nothing
+        whole = F.when(F.col("g").bitwiseAND(F.lit(1 << (len(order) - 1 - k))) == 0, F.col(f).isNotNull().cast("int")).otherwise(1) * whole
+    pairs = grouped.where((F.col("c") > 1) & (whole == 1)).groupBy("g").agg(F.sum(choose2(F.col("c"))).alias("pairs"))
+    joined = numbers.join(pairs, "g", "left").select("true_pairs", F.coalesce("pairs", F.lit(0)).alias("pairs"), F.explode("w").alias("w"))
     part = lambda flag: F.sum(F.when(F.col("true_pairs") == flag, F.col("pairs") * F.col("w.n")).otherwise(0)).cast("double")
     return joined.groupBy(F.col("w.rule").alias("rule")).agg(part(False).alias("kept"), part(True).alias("kept_true"))
 

@@ -23,7 +23,7 @@ def block_scores(blocks: DataFrame, truth: DataFrame, by: list[str] | None = Non
     cells = both.groupBy(*by, "block_id", "entity_id").agg(F.count("*").alias("c"))
     per_block = cells.groupBy(*by, "block_id").agg(F.sum("c").alias("s"), F.sum(choose2(F.col("c"))).alias("t"))
     kept = per_block.groupBy(*by).agg(F.sum(choose2(F.col("s"))).alias("kept"), F.sum("t").alias("kept_true"), F.count("*").alias("blocks"), F.max("s").alias("max_block"))
-    return _rates(kept, truth)
+    return rates(kept, truth)
 
 
 def pair_scores(pairs: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:
@@ -31,11 +31,11 @@ def pair_scores(pairs: DataFrame, truth: DataFrame, by: list[str] | None = None)
     by = by or []
     a, b = truth.select(F.col("rec_id").alias("id_a"), F.col("entity_id").alias("ea")), truth.select(F.col("rec_id").alias("id_b"), F.col("entity_id").alias("eb"))
     kept = pairs.join(a, "id_a").join(b, "id_b").groupBy(*by).agg(F.count("*").cast("decimal(38,0)").alias("kept"), F.sum(F.when(F.col("ea") == F.col("eb"), 1).otherwise(0)).cast("decimal(38,0)").alias("kept_true"))
-    return _rates(kept, truth)
+    return rates(kept, truth)
 
 
-def _rates(kept: DataFrame, truth: DataFrame) -> DataFrame:
-    """recall is null without true pairs, rr is null below two records."""
+def rates(kept: DataFrame, truth: DataFrame) -> DataFrame:
+    """Adds recall, rr, the share missed and precision to rows with kept and kept_true; recall is null without true pairs, rr is null below two records."""
     entities = truth.groupBy("entity_id").agg(F.count("*").alias("c"))
     whole = entities.agg(F.sum("c").alias("n"), F.sum(choose2(F.col("c"))).alias("all_true"))
     rows = kept.crossJoin(F.broadcast(whole))  # one row

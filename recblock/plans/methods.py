@@ -45,8 +45,10 @@ SELECT kept::DOUBLE AS kept, kept_true::DOUBLE AS kept_true, round(kept_true / a
 
 def _criterion_query(criterion: D.Criterion, file: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = D.derive(persons(spark, sf_dir, file))
-        return metrics.pair_scores(D.criterion_pairs(r, criterion), r).select("kept", "kept_true", "recall", "rr")
+        r = cut(D.derive(persons(spark, sf_dir, file)))
+        if criterion.edit:
+            return metrics.pair_scores(D.criterion_pairs(r, criterion), r).select("kept", "kept_true", "recall", "rr")
+        return metrics.rates(D.criterion_counts(r, {"rule": criterion}).drop("rule"), r).select("kept", "kept_true", "recall", "rr")
 
     return run
 
@@ -90,7 +92,10 @@ def shingle_counts_documents(spark, sf_dir):
     return t.select(F.explode(shingle.char_shingles(F.col("rec_text"), 5)).alias("t")).agg(F.lit(5).alias("k"), F.countDistinct("t").alias("n_distinct"), F.count("*").alias("n_shingles"))
 
 
-@query("word_shingle_counts", r"SELECT w, count(DISTINCT s) AS n_distinct, count(*) AS n_shingles FROM (SELECT w, unnest(CASE WHEN len(t) = 0 THEN [] WHEN len(t) < w THEN [array_to_string(t, ' ')] ELSE list_transform(range(1, len(t) - w + 2), lambda i: array_to_string(t[i : i + w - 1], ' ')) END) AS s FROM (SELECT list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '') AS t FROM documents), (VALUES (1), (2), (3)) AS v(w)) GROUP BY w")
+@query("word_shingle_counts", r"""WITH t AS (SELECT doc_id, unnest(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')) AS x, generate_subscripts(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> ''), 1) AS i FROM documents),
+s AS (SELECT doc_id, i, x AS s1, x || ' ' || lead(x) OVER w AS s2, x || ' ' || lead(x) OVER w || ' ' || lead(x, 2) OVER w AS s3, count(*) OVER (PARTITION BY doc_id) AS n FROM t WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+e AS (SELECT 1 AS w, s1 AS s FROM s UNION ALL SELECT 2, coalesce(s2, CASE WHEN n < 2 THEN s1 END) FROM s UNION ALL SELECT 3, coalesce(s3, CASE WHEN n < 3 AND i = 1 THEN coalesce(s2, s1) END) FROM s)
+SELECT w, count(DISTINCT s) AS n_distinct, count(s) AS n_shingles FROM e WHERE s IS NOT NULL GROUP BY w""")
 def word_shingle_counts(spark, sf_dir):
     t = _document_texts(spark, sf_dir)
     parts = [t.select(F.lit(w).alias("w"), F.explode(shingle.word_shingles(F.col("rec_text"), w)).alias("s")) for w in (1, 2, 3)]
