@@ -6,6 +6,7 @@ from pathlib import Path
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 sys.path[:0] = [str(Path(__file__).resolve().parent)]
 import brute
@@ -120,7 +121,7 @@ def test_language_model():
 
 def test_language_held_out_accuracy(spark):
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
-    got = language_id.identify(docs.select("doc_id", "text"), language_id.train(docs)).join(docs.select("doc_id", "lang"), "doc_id").where(language_id.held_out(docs["doc_id"]))
+    got = language_id.identify(docs.select("doc_id", "text"), language_id.train(docs)).join(docs.select("doc_id", "lang"), "doc_id").where(language_id.held_out(F.col("doc_id")))
     rows = got.collect()
     assert sum(r.lang_pred == r.lang for r in rows) > 0.9 * len(rows) > 0
 
@@ -164,7 +165,7 @@ def test_personal_data(spark):
     tricky += ["".join(rng.choice("ab.@-+1 (") for _ in range(60)) for _ in range(300)]
     for t in tricky:
         assert pii.base_spans(t or "")["email"] == [m.span() for m in pii.EMAIL.finditer(t or "")]
-    rows = [(i, f'x token = "{"%032x" % (i * 7919 * 10**20 + 10**34)}" y {t or ""}') for i, t in enumerate(tricky[:9])] + [(99, 'token = "Zz9999unseen8888"')]
+    rows = [(i, f'x token = "{"%032x" % (i * 7919 * 10**20 + 10**34)}" y {t or ""}') for i, t in enumerate([*tricky[:9]] + [""] * 20)] + [(99, 'token = "Zz9999unseen8888"')]
     got = {r.doc_id: r.spans for r in pii.extract(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert "secret:9:25" in got[99]
 
