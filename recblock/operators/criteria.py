@@ -158,22 +158,16 @@ def criterion_counts(records: DataFrame, criteria: dict[str, Criterion]) -> Data
         signed[name] = {s: n for s, n in own.items() if n}
     sets = sorted({s for own in signed.values() for s in own}, key=sorted)
     fields = sorted({f for s in sets for f in s})
-    one, counts = F.lit(1), []
-    with_sets = [[*sorted(s), *more] for s in sets for more in ([], ["entity_id"])]
-    view = records.select("entity_id", *fields).dropna(how="all", subset=fields)
-    view.createOrReplaceTempView("criterion_records")
-    columns = ", ".join([*fields, "entity_id"])
-    grouped = view.sparkSession.sql(f"SELECT {columns}, grouping_id({columns}) AS g, count(*) AS c FROM criterion_records GROUP BY {columns} GROUPING SETS ({', '.join('(' + ', '.join(x) + ')' for x in with_sets)})")
     order = [*fields, "entity_id"]
-    for i, s in enumerate(sets):
-        for flag in (False, True):
-            inside = set(s) | ({"entity_id"} if flag else set())
-            counts.append((sum(1 << (len(order) - 1 - k) for k, f in enumerate(order) if f not in inside), i, flag))
-    numbers = records.sparkSession.createDataFrame([(g, i, f, [(r, own[sets[i]]) for r, own in signed.items() if sets[i] in own]) for g, i, f in counts], "g long, s int, true_pairs boolean, w array<struct<rule:string,n:int>>")
-    whole = one
-    for k, f in enumerate(fields):  # a null agrees with nothing
-        whole = F.when(F.col("g").bitwiseAND(F.lit(1 << (len(order) - 1 - k))) == 0, F.col(f).isNotNull().cast("int")).otherwise(1) * whole
-    pairs = grouped.where((F.col("c") > 1) & (whole == 1)).groupBy("g").agg(F.sum(choose2(F.col("c"))).alias("pairs"))
+    masks = {(i, flag): sum(1 << k for k, f in enumerate(order) if f in s or (flag and f == "entity_id")) for i, s in enumerate(sets) for flag in (False, True)}
+    has = [F.col("g").bitwiseAND(F.lit(1 << k)) != 0 for k in range(len(order))]
+    # One row per record and set, made by explode: as grouping sets, hundreds of sets outgrow generated code.
+    spread = records.select(*order, F.explode(F.array(*[F.lit(m) for m in masks.values()])).alias("g"))
+    whole = _and(~has[k] | F.col(f).isNotNull() for k, f in enumerate(fields))  # a null agrees with nothing
+    keys = [F.when(has[k], F.col(f)).alias(f"k{k}") for k, f in enumerate(order)]
+    grouped = spread.where(whole).select("g", *keys).groupBy("g", *[f"k{k}" for k in range(len(order))]).agg(F.count("*").alias("c"))
+    pairs = grouped.where("c > 1").groupBy("g").agg(F.sum(choose2(F.col("c"))).alias("pairs"))
+    numbers = records.sparkSession.createDataFrame([(m, f, [(r, own[sets[i]]) for r, own in signed.items() if sets[i] in own]) for (i, f), m in masks.items()], "g int, true_pairs boolean, w array<struct<rule:string,n:int>>")
     joined = numbers.join(pairs, "g", "left").select("true_pairs", F.coalesce("pairs", F.lit(0)).alias("pairs"), F.explode("w").alias("w"))
     part = lambda flag: F.sum(F.when(F.col("true_pairs") == flag, F.col("pairs") * F.col("w.n")).otherwise(0)).cast("double")
     return joined.groupBy(F.col("w.rule").alias("rule")).agg(part(False).alias("kept"), part(True).alias("kept_true"))
