@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from recblock.operators.graph import connected_components
@@ -29,6 +29,15 @@ def cell_pairs(points: DataFrame, t: float) -> DataFrame:
     return cells.select(F.col("rec_id").alias("id_a"), F.col("x").alias("xa"), "cell").join(near, "cell").where((F.col("id_a") < F.col("id_b")) & (F.abs(F.col("xa") - F.col("xb")) <= t)).select("id_a", "id_b")
 
 
+def vector_pairs(vectors: DataFrame, t: float) -> DataFrame:
+    """(id_a, id_b, distance) of ``vectors(rec_id, vec)`` within t: near vectors are near on the first
+    axis, whose cells give the candidates."""
+    side = lambda s: vectors.select(F.col("rec_id").alias(f"id_{s}"), F.col("vec").alias(f"v_{s}"))
+    candidates = cell_pairs(vectors.select("rec_id", F.col("vec")[0].alias("x")), t)
+    far = F.sqrt(F.aggregate(F.zip_with("v_a", "v_b", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    return candidates.join(side("a"), "id_a").join(side("b"), "id_b").select("id_a", "id_b", far.alias("distance")).where(F.col("distance") <= t)
+
+
 def tnn_blocks(ids: DataFrame, pairs: DataFrame) -> DataFrame:
     """Threshold nearest neighbours. Growing a cluster until its nearest outsider is too far ends
     at a component of the graph of near pairs, from whatever base it began."""
@@ -50,8 +59,11 @@ def knn_blocks(vectors: DataFrame, k: int, limit: int = 20_000) -> DataFrame:
     """Clusters of at least k: a base (least id left) takes its k - 1 nearest; what is over joins
     the cluster of its nearest record. Exact inside one cell; larger files are cut into cells
     along the first component, each of about ``limit`` records."""
-    cells = max(1, -(-vectors.count() // limit))
-    placed = vectors.withColumn("cell", F.floor(F.percent_rank().over(Window.orderBy(F.col("vec")[0])) * cells * 0.999999)) if cells > 1 else vectors.withColumn("cell", F.lit(0))
+    n = vectors.count()
+    cells = max(1, -(-n // limit))
+    placed = vectors.withColumn("cell", F.lit(0))
+    if cells > 1:
+        placed = running_sums(vectors, [F.col("vec")[0], F.col("rec_id")], {"__pos": F.lit(1)}).withColumn("cell", F.floor((F.col("__pos") - 1) * cells / n)).select("rec_id", "vec", "cell")
 
     def grow(pdf: pd.DataFrame) -> pd.DataFrame:
         import numpy as np

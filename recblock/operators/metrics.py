@@ -21,8 +21,8 @@ def block_scores(blocks: DataFrame, truth: DataFrame, by: list[str] | None = Non
     by = by or []
     both = blocks.join(truth.select("rec_id", "entity_id"), "rec_id")
     cells = both.groupBy(*by, "block_id", "entity_id").agg(F.count("*").alias("c"))
-    per_block = cells.groupBy(*by, "block_id").agg(F.sum("c").alias("s"), F.sum(choose2(F.col("c"))).alias("t"))
-    kept = per_block.groupBy(*by).agg(F.sum(choose2(F.col("s"))).alias("kept"), F.sum("t").alias("kept_true"), F.count("*").alias("blocks"), F.max("s").alias("max_block"))
+    per_block = cells.groupBy(*by, "block_id").agg(F.sum("c").alias("__size"), F.sum(choose2(F.col("c"))).alias("__true"))
+    kept = per_block.groupBy(*by).agg(F.sum(choose2(F.col("__size"))).alias("kept"), F.sum("__true").alias("kept_true"), F.count("*").alias("blocks"), F.max("__size").alias("max_block"))
     return rates(kept, truth)
 
 

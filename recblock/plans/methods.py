@@ -77,7 +77,7 @@ def cascade_persons(spark, sf_dir):
 
 # shingles, signatures, bands
 
-_text_sql = lambda file: f"SELECT rec_id, entity_id, concat_ws(' ', {', '.join(fields_of(file))}) AS rec_text FROM ({file_sql('duckdb', file)})"
+_text_sql = lambda file: "SELECT doc_id AS rec_id, doc_id AS entity_id, text AS rec_text FROM documents WHERE text <> ''" if file == "documents" else f"SELECT rec_id, entity_id, concat_ws(' ', {', '.join(fields_of(file))}) AS rec_text FROM ({file_sql('duckdb', file)})"
 _terms_sql = lambda file, k: f"SELECT rec_id, entity_id, unnest(CASE WHEN length(rec_text) < {k} THEN [rec_text] ELSE list_transform(range(1, length(rec_text) - {k - 2}), lambda i: substr(rec_text, i, {k})) END) AS term FROM ({_text_sql(file)})"
 
 
@@ -86,9 +86,9 @@ def shingle_counts_persons(spark, sf_dir):
     return shingle.shingle_counts(_texts(spark, sf_dir, "clean500")[1], 2)
 
 
-@query("shingle_counts_documents", "SELECT 5 AS k, count(DISTINCT t) AS n_distinct, count(*) AS n_shingles FROM (SELECT unnest(list_transform(range(1, length(text) - 3), lambda i: substr(text, i, 5))) AS t FROM documents WHERE length(text) >= 5 AND length(text) <= 600)")
+@query("shingle_counts_documents", f"SELECT 5 AS k, count(DISTINCT term) AS n_distinct, count(*) AS n_shingles FROM ({_terms_sql('documents', 5)})")
 def shingle_counts_documents(spark, sf_dir):
-    t = _document_texts(spark, sf_dir).where(F.length("rec_text").between(5, 600))
+    t = _document_texts(spark, sf_dir)
     return t.select(F.explode(shingle.char_shingles(F.col("rec_text"), 5)).alias("t")).agg(F.lit(5).alias("k"), F.countDistinct("t").alias("n_distinct"), F.count("*").alias("n_shingles"))
 
 
@@ -183,21 +183,28 @@ def tlsh_blocks_documents(spark, sf_dir):
     return tlsh.tlsh_blocks(docs, ["text"])
 
 
-@query("lsh_pairs_documents")
+@query("lsh_pairs_documents", f"SELECT id_a, id_b, bands_hit FROM ({_edges_sql('documents', 5, 22)})")
 def lsh_pairs_documents(spark, sf_dir):
     return minhash.lsh_pairs(_document_texts(spark, sf_dir))
 
 
-@query("jaccard_truth_documents", r"""WITH d AS (SELECT doc_id, list_distinct(list_transform(range(1, length(text) - 3), lambda i: substr(text, i, 5))) AS s FROM documents WHERE length(text) BETWEEN 5 AND 600),
-t AS (SELECT doc_id, len(s) AS n, unnest(s) AS x FROM d), c AS (SELECT a.doc_id AS id_a, b.doc_id AS id_b, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS k FROM t a JOIN t b ON a.x = b.x AND a.doc_id < b.doc_id GROUP BY ALL)
-SELECT id_a, id_b, round(k / (na + nb - k), 6) AS jaccard FROM c WHERE k / (na + nb - k) >= 0.5""")
+@query("minhash_signatures_documents", f"SELECT rec_id, unnest(range(0, 100)) AS i, unnest(sig) AS value FROM ({_signature_sql('documents', 5, 100)})")
+def minhash_signatures_documents(spark, sf_dir):
+    return minhash.minhash(_document_texts(spark, sf_dir), 5, 100).select("rec_id", F.posexplode("sig").alias("i", "value"))
+
+
+@query("hottest_buckets_topk", f"SELECT band, key, count(*) AS n FROM ({_keys_sql('clean10k', 5, 100, 22)}) GROUP BY ALL ORDER BY n DESC, band, key LIMIT 10")
+def hottest_buckets(spark, sf_dir):
+    keys = minhash.band_keys(minhash.minhash(_texts(spark, sf_dir, "clean10k")[1], 5, 100), 100, 22)
+    return keys.groupBy("band", "key").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "band", "key").limit(10)
+
+
+@query("jaccard_truth_documents", f"""WITH t AS MATERIALIZED (SELECT DISTINCT rec_id, term FROM ({_terms_sql('documents', 5)})), n AS (SELECT rec_id, count(*) AS n FROM t GROUP BY rec_id),
+c AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b, count(*) AS k FROM t a JOIN t b ON a.term = b.term AND a.rec_id < b.rec_id GROUP BY ALL)
+SELECT id_a, id_b, round(k / (x.n + y.n - k), 6) AS jaccard FROM c JOIN n x ON x.rec_id = id_a JOIN n y ON y.rec_id = id_b WHERE k / (x.n + y.n - k) >= 0.5""")
 def jaccard_truth_documents(spark, sf_dir):
-    """Exact similarity of at least one half among short documents, over the inverted index."""
-    t = _document_texts(spark, sf_dir).where(F.length("rec_text").between(5, 600)).select("rec_id", shingle.shingle_set(F.col("rec_text"), 5).alias("s"))
-    x = t.select("rec_id", F.size("s").alias("n"), F.explode("s").alias("x"))
-    pairs = x.select(F.col("rec_id").alias("id_a"), F.col("n").alias("na"), "x").join(x.select(F.col("rec_id").alias("id_b"), F.col("n").alias("nb"), "x"), "x").where("id_a < id_b").groupBy("id_a", "id_b", "na", "nb").agg(F.count("*").alias("k"))
-    j = F.col("k") / (F.col("na") + F.col("nb") - F.col("k"))
-    return pairs.where(j >= 0.5).select("id_a", "id_b", F.round(j, 6).alias("jaccard"))
+    """Exact similarity of at least one half among the documents."""
+    return minhash.similar_pairs(_document_texts(spark, sf_dir), 0.5, 5)
 
 
 # projection blocking
@@ -265,6 +272,18 @@ def tnn_blocks_persons(spark, sf_dir):
     return X.tnn_blocks(r, X.epsilon_pairs(t, 0.9))
 
 
+_near_sql = "list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: power(CAST(z[1] AS DOUBLE) - CAST(z[2] AS DOUBLE), 2))) <= 1.21"
+
+
+@query("tnn_blocks_embeddings", f"""WITH RECURSIVE e AS MATERIALIZED (SELECT a.vec_id AS s, b.vec_id AS d FROM embeddings a JOIN embeddings b ON {_near_sql}),
+reach AS (SELECT vec_id, vec_id AS c FROM embeddings UNION SELECT e.d, reach.c FROM reach JOIN e ON e.s = reach.vec_id WHERE reach.c <= e.d)
+SELECT vec_id AS rec_id, min(c) AS block_id FROM reach GROUP BY vec_id""")
+def tnn_blocks_embeddings(spark, sf_dir):
+    """Nearest-neighbour clusters of ready vectors within 1.1: cells on a line first, then exact distances."""
+    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("rec_id"), F.col("embedding").cast("array<double>").alias("vec"))
+    return X.tnn_blocks(v, X.vector_pairs(v, 1.1))
+
+
 @query("sorted_tnn_blocks", f"SELECT rec_id, CAST(sum(n) OVER (ORDER BY rec_text, rec_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS block_id FROM (SELECT rec_id, rec_text, CASE WHEN lag(rec_text) OVER w IS NULL OR levenshtein(rec_text, lag(rec_text) OVER w) > 8 THEN 1 ELSE 0 END AS n FROM ({_text_sql('clean10k')}) WINDOW w AS (ORDER BY rec_text, rec_id))")
 def sorted_tnn(spark, sf_dir):
     return X.sorted_tnn_blocks(_texts(spark, sf_dir, "clean10k")[1], 8)
@@ -337,10 +356,9 @@ def anonymity_level_birth_year(spark, sf_dir):
     return metrics.anonymity_level(D.key_blocks(persons(spark, sf_dir, "clean10k"), ["birth_year"]), 100)
 
 
-@query("vocab_growth_documents", "WITH t AS (SELECT x, min(doc_id) AS f FROM (SELECT doc_id, unnest(list_transform(range(1, length(text) - 1), lambda i: substr(text, i, 3))) AS x FROM documents WHERE length(text) BETWEEN 3 AND 600) GROUP BY x) SELECT n, count(*) AS w_n FROM t, (VALUES (50), (100), (200), (400), (800)) AS v(n) WHERE f < n GROUP BY n")
+@query("vocab_growth_documents", f"WITH t AS (SELECT term, min(rec_id) AS f FROM ({_terms_sql('documents', 3)}) GROUP BY term) SELECT n, count(*) AS w_n FROM t, (VALUES (50), (100), (200), (400), (800)) AS v(n) WHERE f < n GROUP BY n")
 def vocab_growth_documents(spark, sf_dir):
-    t = _document_texts(spark, sf_dir).where(F.length("rec_text").between(3, 600))
-    return shingle.vocabulary_growth(t, 3, [50, 100, 200, 400, 800])
+    return shingle.vocabulary_growth(_document_texts(spark, sf_dir), 3, [50, 100, 200, 400, 800])
 
 
 @query("vocab_growth_fit")

@@ -98,12 +98,12 @@ def orders_within_7_days(spark, sf_dir):
     return o.join(b, "o_custkey").where((F.col("o_orderkey") < F.col("kb")) & (F.abs(F.datediff("d", "db")) <= 7)).agg(F.count("*").alias("pairs"))
 
 
-@query("reference_asof", "SELECT e.event_id, r.ts AS ref_ts FROM (SELECT * FROM events) e ASOF LEFT JOIN (SELECT DISTINCT date_trunc('day', ts) AS ts FROM events WHERE event_id % 10 = 0) r ON e.ts >= r.ts")
+@query("reference_asof", "SELECT e.event_id, r.ts AS ref_ts FROM (SELECT * FROM events) e ASOF LEFT JOIN (SELECT DISTINCT date_trunc('day', ts) AS ts FROM events WHERE event_type = 'signup') r ON e.ts >= r.ts")
 def reference_asof(spark, sf_dir):
-    """The nearest reference time not after each event: both in one order per day, last one carried on; a
+    """The nearest day with a sign-up not after each event: both in one order per day, last one carried on; a
     day without one looks back through the days' last values."""
-    e = table(spark, sf_dir, "events").select("event_id", "ts")
-    refs = e.where(F.col("event_id") % 10 == 0).select(F.date_trunc("day", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("ref_ts")).distinct()
+    e = table(spark, sf_dir, "events").select("event_id", "ts", "event_type")
+    refs = e.where(F.col("event_type") == "signup").select(F.date_trunc("day", F.col("ts").cast("timestamp")).cast("timestamp_ntz").alias("ref_ts")).distinct()
     days = e.select(F.to_date("ts").alias("day")).distinct().join(refs.select(F.to_date("ref_ts").alias("day"), "ref_ts"), "day", "left")
     carried = days.withColumn("ref_ts", F.last("ref_ts", ignorenulls=True).over(Window.orderBy("day")))  # one row per day
     return e.withColumn("day", F.to_date("ts")).join(carried, "day").select("event_id", "ref_ts")
