@@ -19,6 +19,8 @@ from recblock.session import checkpoint_root
 
 #: No SQL: a learned model, a similarity join and a tokenizer decide.
 ORACLE_SQL = None
+#: Similarity of near duplicates in percent.
+NEAR_PERCENT = 80
 
 
 def identified_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -35,9 +37,11 @@ def identified_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each group stays."""
-    kept = minhash_join.near_duplicates(docs.select("doc_id", "text")).where("kept").select(F.col("doc_id").alias("__id"))
-    return docs.join(kept, docs["doc_id"] == F.col("__id"), "left_semi")
+    """The document of least id of each group stays, and so do rows without an id."""
+    judged = minhash_join.near_duplicates(docs.select("doc_id", "text"), percent=NEAR_PERCENT)
+    kept = judged.where("kept or doc_id is null").select(F.col("doc_id").alias("__kept"))
+    rows = docs.select(F.struct(*docs.columns).alias("__row"))
+    return rows.join(kept, rows["__row"]["doc_id"].eqNullSafe(kept["__kept"]), "left_semi").select("__row.*")
 
 
 def masked_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -13,7 +13,9 @@ each class is compared with the node's leaders, only pairs that the triangle ine
 are compared further, which finds the components of all links without all pairs.
 
 Texts without words, and nulls, have no shingles, link with nothing and stay. Ids are taken as
-unique; repeated rows of an id are copies of one document. An empty table gives no rows."""
+unique; repeated rows of an id are copies of one document. A row without an id is a copy if its
+set equals that of one with an id, else it links with nothing and stays. An empty table gives no
+rows."""
 
 from __future__ import annotations
 
@@ -248,7 +250,7 @@ def near_duplicates(docs: DataFrame, width: int = WORDS, percent: int = PERCENT,
     named = classes.select(*[F.col(k).alias(f"__{k}") for k in key], F.col("doc_id").alias("__rep")).join(roots, "__rep", "left")
     both = signed.join(named, [signed[k] == F.col(f"__{k}") for k in key], "left")
     component = F.coalesce("component_id", "__rep", "doc_id")
-    return both.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept"))
+    return both.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -25,6 +26,8 @@ from recblock.session import cut
 #: The base patterns, in the order in which kinds are listed.
 EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
 IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+#: The same places: a match takes its digits to their end, so the next one begins a run of digits.
+IP_AT_RUN = re.compile(r"(?<![0-9])" + IP.pattern)
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 KINDS = ("email", "ip", "card", "phone", "secret")
@@ -69,12 +72,30 @@ def base_spans(text: str) -> dict[str, list[tuple[int, int]]]:
         if 13 <= len(digits) <= 19 and luhn(digits):
             out["card"].append(m.span())
     if "." in text:
-        out["ip"] = [m.span() for m in IP.finditer(text) if all(int(p) <= 255 for p in m.group().split(".") if len(p.lstrip("0")) <= 3) and all(len(p.lstrip("0")) <= 3 for p in m.group().split("."))]
+        out["ip"] = [m.span() for m in IP_AT_RUN.finditer(text) if all(int(p) <= 255 for p in m.group().split(".") if len(p.lstrip("0")) <= 3) and all(len(p.lstrip("0")) <= 3 for p in m.group().split("."))]
     if "+" in text:
         out["phone"] = [m.span() for m in PHONE.finditer(text) if 9 <= sum(c.isdigit() for c in m.group()) <= 15]
     return out
 
 
+def covered(spans: list[tuple[int, int]]) -> tuple[list[int], list[int]]:
+    """Starts and ends of the spans' union, in order."""
+    starts: list[int] = []
+    ends: list[int] = []
+    for s, e in sorted(spans):
+        if ends and s <= ends[-1]:
+            ends[-1] = max(ends[-1], e)
+        else:
+            starts.append(s)
+            ends.append(e)
+    return starts, ends
+
+
+def overlaps(union: tuple[list[int], list[int]], s: int, e: int) -> bool:
+    k = bisect_left(union[0], e)
+    return k > 0 and union[1][k - 1] > s
+
+
 def pattern_before(text: str, start: int) -> str:
     """The last three words or signs before a place, in lower case."""
     return " ".join(CONTEXT.findall(text[max(0, start - 60) : start].lower())[-3:])
@@ -101,10 +122,10 @@ def occurrences(docs: DataFrame) -> DataFrame:
                 for k in KINDS[:4]:
                     counts[k].append(len(base[k]))
                     own += [{"s": s, "e": e, "kind": k, "pattern": pattern_before(text, s), "instance": _digest(text[s:e]), "seed": True} for s, e in base[k]]
-                taken = [x for k in KINDS[:4] for x in base[k]]
+                taken = covered([x for k in KINDS[:4] for x in base[k]])
                 for m in RUN.finditer(text):
                     s, e = m.span()
-                    if sum(c.isdigit() for c in m.group()) >= 4 and not any(a < e and s < b for a, b in taken):
+                    if sum(c.isdigit() for c in m.group()) >= 4 and not overlaps(taken, s, e):
                         own.append({"s": s, "e": e, "kind": "secret", "pattern": pattern_before(text, s), "instance": _digest(m.group()), "seed": bool(HEX.fullmatch(m.group()))})
                 shas.append(hashlib.sha256(listed.encode()).hexdigest())
                 spans.append(listed)
@@ -149,13 +170,13 @@ def masked(docs: DataFrame) -> DataFrame:
     """``docs`` with every span of a text replaced by its kind in brackets; n_chars follows."""
     spans = extract(docs.select("doc_id", "text")).where("spans <> ''").select(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__hash"), F.col("spans").alias("__spans")).dropDuplicates(["__id", "__hash"])
     names, schema = docs.columns, docs.schema
-    text_hash = F.xxhash64(F.coalesce(F.col("text"), F.lit("")))
-    both = docs.withColumn("__h", text_hash).join(spans, docs["doc_id"].eqNullSafe(F.col("__id")) & (F.col("__h") == F.col("__hash")), "left").select(*[docs[c] for c in names], "__spans")
+    rows = docs.select(F.struct(*names).alias("__row"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("__h"))
+    both = rows.join(spans, rows["__row"]["doc_id"].eqNullSafe(spans["__id"]) & (F.col("__h") == F.col("__hash")), "left").select("__row.*", "__spans")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch.column("text").to_pylist()
-            for i, listed in enumerate(batch.column("__spans").to_pylist()):
+            for i, listed in enumerate(batch.column(batch.num_columns - 1).to_pylist()):
                 if listed:
                     out, at = [], 0
                     for s, e, k in sorted((int(x[1]), int(x[2]), x[0]) for x in (y.split(":") for y in listed.split(","))):

@@ -71,7 +71,9 @@ def mixed_documents(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SH
     of a source that the cut splits stays whole if at least half of it is inside."""
     copies = mix_sources(docs, weights, share, epochs).select(F.col("doc_id").alias("__id"), F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size") + 0.5)).otherwise(0).cast("int").alias("__n"))
     once = copies.groupBy("__id").agg(F.max("__n").alias("__n")).where("__n > 0")
-    return docs.join(once, docs["doc_id"].eqNullSafe(F.col("__id"))).withColumn("__n", F.explode(F.sequence(F.lit(1), F.col("__n")))).select(*[docs[c] for c in docs.columns])
+    rows = docs.select(F.struct(*docs.columns).alias("__row"))
+    both = rows.join(once, rows["__row"]["doc_id"].eqNullSafe(once["__id"]))
+    return both.select("__row", F.explode(F.sequence(F.lit(1), F.col("__n")))).select("__row.*")
 
 
 def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -184,3 +184,87 @@ def test_pipeline_stages(spark):
     for name, stage in C.STAGES[:-1]:
         assert stage(spark, docs, "").columns == docs.columns, name
     assert C.run(spark, "/root/testdata/sf0.001").count() > 0
+
+
+def test_ip_search_keeps_the_places_of_the_base_pattern():
+    rng = random.Random(12)
+    texts = ["".join(rng.choice("12.. x") for _ in range(80)) for _ in range(400)] + ["1" * 100_000, "1.2.3.4.5.6.7.8", "01.2.3.4"]
+    for t in texts:
+        plain = [m.span() for m in pii.IP.finditer(t) if all(int(p) <= 255 for p in m.group().split("."))] if len(t) < 1000 else []
+        assert pii.base_spans(t).get("ip", []) == plain
+
+
+def test_overlaps_equal_all_spans():
+    rng = random.Random(13)
+    for _ in range(200):
+        spans = [(a, a + rng.randint(1, 9)) for a in (rng.randrange(60) for _ in range(rng.randint(0, 6)))]
+        union, s = pii.covered(spans), rng.randrange(60)
+        e = s + rng.randint(1, 9)
+        assert pii.overlaps(union, s, e) == any(a < e and s < b for a, b in spans)
+
+
+ODD = "doc_id long, text string, lang string, source string, n_chars long, size long, node long, src string, dst string, z string, kept boolean, component_id long, score double, n_words long, spans string, piece int, length long, target double, __key string, __id long, rule string, host string"
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Null ids, texts and languages, rows that repeat, ties, an empty and a very long text, names that clash."""
+    long = " ".join(f"w{i % 977}" for i in range(60_000))
+    some = [(1, "one two three four five six"), (1, "one two three four five six"), (2, "one two three four five six"), (3, None), (3, None), (4, ""), (5, long), (5, long), (6, "mail a.b@c.de or 10.0.0.1"), (None, "no id one two three four"), (None, None)]
+    rows = [(i, t, l, s, None, *[None] * 17) for (i, t), l, s in zip(some, ["en", None, "fr"] * 4, [None, "a", "a", "b"] * 3)]
+    return spark.createDataFrame(rows, ODD), some
+
+
+def test_odd_rows_have_results(odd):
+    docs, some = odd
+    per_row = {
+        "quality": quality_rules.judged(quality_rules.ledger(docs)),
+        "licenses": license_scan.scan(docs),
+        "personal data": pii.extract(docs),
+        "language": language_id.identify(docs, language_id.train(docs)),
+        "mix": source_mix.mix_sources(docs),
+    }
+    for name, df in per_row.items():
+        rows = df.collect()
+        assert sorted(repr(r.doc_id) for r in rows) == sorted(repr(i) for i, _ in some), name
+        by = {}
+        for r in rows:  # repeated rows are judged alike, but for the mix, which takes words from each
+            if name != "mix" and r.doc_id is not None:
+                assert by.setdefault(r.doc_id, tuple(r)) == tuple(r), name
+
+
+def test_odd_rows_of_documents_with_ids(odd):
+    docs, some = odd
+    own = docs.where("doc_id is not null").dropDuplicates(["doc_id"])
+    texts = dict(x for x in some if x[0] is not None)
+    assert {r[0]: tuple(r)[1:] for r in suffix_dedup.remove_repeats(own).collect()} == brute.removed(texts)
+    assert {r[0]: tuple(r)[1:] for r in minhash_join.near_duplicates(own).collect()} == brute.components(texts)
+    repeated = minhash_join.near_duplicates(docs.where("doc_id is not null")).collect()
+    assert {tuple(r) for r in repeated} == {(d, *x) for d, x in brute.components(texts).items()}
+
+
+def test_odd_rows_are_packed(odd):
+    docs, _ = odd
+    rows = packing.pack_documents(docs.where("doc_id is not null").dropDuplicates(["doc_id"])).collect()
+    assert {r.doc_id for r in rows} == {1, 2, 3, 4, 5, 6}
+    assert len({(r.sequence_id, r.offset) for r in rows}) == len(rows)
+
+
+def test_stages_with_odd_rows(spark, odd, tmp_path):
+    import corpus_pipeline as C
+
+    docs = odd[0]
+    for k, (name, stage) in enumerate(C.STAGES):
+        docs = stage(spark, docs, "")
+        docs.write.parquet(f"{tmp_path}/{k}")
+        docs = spark.read.parquet(f"{tmp_path}/{k}")
+        assert docs.count() > 0, name
+
+
+def test_odd_urls_and_vectors(spark):
+    urls = spark.createDataFrame([(1, None, "x", None), (1, None, "x", None), (None, "http://a.net", "y", None), (2, "http://" + "a." * 50_000 + "net/", None, None), (3, "://", None, 1)], "page_id long, url string, host string, rule int")
+    got = url_filter.judge_urls(urls.select("page_id", "url")).collect()
+    assert len(got) == 5 and [r.rule for r in got if r.page_id is None or r.page_id == 2] == [None, "net/"]  # an empty path does not begin with a slash
+    vectors = spark.createDataFrame([(0, [1.0, 0.0], 1), (1, [1.0, 0.0], 2), (2, [1.0, 0.0], 3), (3, [], 1), (4, [1.0], 1), (5, [None, 1.0], 1), (None, [1.0, 1.0], 1)], "vec_id long, embedding array<double>, rank int")
+    v = collision_ann.usable(vectors)
+    assert [(r.query_id, r.rank, r.vec_id, r.score) for r in collision_ann.nearest(v, v.where("vec_id % 50 = 0")).orderBy("rank").collect()] == [(0, 1, 1, 1.0), (0, 2, 2, 1.0)]
