@@ -2,10 +2,13 @@
 
 Seeds are what the strict patterns find (addresses, ips, cards, phones) and secrets that their
 form alone gives away. The words before a seed are a lexical pattern; every identifier-like run
-of the corpus, seed or not, hangs on the pattern it stands after. The graph of patterns and
-instances is scored in turns: a pattern is as good as its instances, smoothed so that rare
-patterns stay low; an instance as good as the best of its patterns and its own seed value.
-Runs after patterns of high confidence become spans of the pattern's kind.
+of the corpus, seed or not, hangs on the pattern it stands after, once for each kind that its
+shape admits: loose addresses, groups of numbers, long words with digits. The graph of patterns
+and instances is scored in turns: a pattern is as good as its instances, smoothed so that rare
+patterns stay low; an instance as good as the best of its patterns and its own seed value. A
+seed of one kind of number speaks against the other kinds of number after its pattern.
+Every seed is a span. Runs after patterns of high confidence become spans of the pattern's
+kind, of the most confident one if there are several.
 
 Offsets count code points of whole texts, ends exclusive. A null text is empty. Repeated rows
 are searched each for itself, an empty table gives no rows, other columns are not looked at."""
@@ -33,6 +36,14 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 KINDS = ("email", "ip", "card", "phone", "secret")
 RUN = re.compile(r"[A-Za-z0-9_]{12,}")
 HEX = re.compile(r"(?=[0-9a-f]*[a-f])(?=[0-9a-f]*[0-9])[0-9a-f]{32,64}")
+#: Looser runs, spans only after a good pattern: numbers with any usual separators, four groups
+#: or hexadecimal groups for ips, and what stands around an @ however it is written.
+NUMBER = re.compile(r"(?<!\w)\+?\(?[0-9](?:[\x20().\-/]{0,3}[0-9]){6,}(?!\w)")
+DIGITS = re.compile(r"[0-9]+")
+GROUPS = re.compile(r"(?<![\w.])[0-9]{1,3}(?:(?:\x20?[.,:_-]\x20?|[\[(]\.[\])])[0-9]{1,3}){3}(?!\w)|(?<![\w:])(?:[0-9A-Fa-f]{0,4}:){3,7}[0-9A-Fa-f]{1,4}(?!\w)")
+AT = re.compile(r"\x20?(?:@|[(\[{]\x20?[Aa][Tt]\x20?[)\]}])\x20?")
+PART = re.compile(r"""[^\s@<>()\[\]{}"',;:|]+""")
+NUMBERS = KINDS[1:4]
 CONTEXT = re.compile(r"\w+|[^\w\s]")
 SMOOTH, CONFIDENT, TURNS, SUPPORT = 2.0, 0.8, 3, 5
 LOCAL = re.compile(r"[A-Za-z0-9._%+-]")
@@ -101,14 +112,50 @@ def pattern_before(text: str, start: int) -> str:
     return " ".join(CONTEXT.findall(text[max(0, start - 60) : start].lower())[-3:])
 
 
+def _addresses(text: str) -> list[tuple[int, int]]:
+    """What stands around each @, or at in brackets, without a full stop at its end."""
+    out, free = [], 0
+    for m in AT.finditer(text):
+        start = m.start()
+        while start > free and PART.match(text[start - 1]):
+            start -= 1
+        tail = PART.match(text, m.end())
+        end = m.end() + len(tail.group().rstrip(".!?")) if tail else m.end()
+        if start < m.start() and end > m.end():
+            out.append((start, end))
+        free = max(m.end(), end)
+    return out
+
+
+def loose_runs(text: str) -> list[tuple[int, int, tuple[str, ...]]]:
+    """Spans that may be personal data and the kinds that their shape admits. Numbers that
+    stand too close together to be one are taken each for itself."""
+    out = [(s, e, KINDS[:1]) for s, e in _addresses(text)]
+    out += [(*m.span(), KINDS[1:2]) for m in GROUPS.finditer(text)]
+    for m in NUMBER.finditer(text):
+        n = sum(c.isdigit() for c in m.group())
+        for s, e in [m.span()] if n <= 19 else [x.span() for x in DIGITS.finditer(text, *m.span())]:
+            n = sum(c.isdigit() for c in text[s:e])
+            kinds = tuple(k for k, least, most in ((KINDS[2], 12, 19), (KINDS[3], 7, 15)) if least <= n <= most)
+            if kinds:
+                out.append((s, e, kinds))
+    return out
+
+
+def _instance(kind: str, run: str) -> int:
+    """Numbers are the same however their digits are separated."""
+    return _digest(("." if kind == KINDS[1] else "").join(DIGITS.findall(run)) if kind in NUMBERS and ":" not in run else run)
+
+
 def _digest(text: str) -> int:
     return int.from_bytes(hashlib.blake2b(text.encode(), digest_size=8).digest(), "little", signed=True)
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
-    """doc_id, a digest of the text, the base spans, and all runs with their pattern and seed value."""
+    """doc_id, a digest of the text, the base spans, and all runs with their kinds, pattern and
+    seed value: 1 for a seed of the kind, -1 for a seed of another, 0 for what is open."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    mention = pa.struct([("s", pa.int32()), ("e", pa.int32()), ("kind", pa.string()), ("pattern", pa.string()), ("instance", pa.int64()), ("seed", pa.bool_())])
+    mention = pa.struct([("s", pa.int32()), ("e", pa.int32()), ("kind", pa.string()), ("pattern", pa.string()), ("instance", pa.int64()), ("seed", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -121,12 +168,19 @@ def occurrences(docs: DataFrame) -> DataFrame:
                 own = []
                 for k in KINDS[:4]:
                     counts[k].append(len(base[k]))
-                    own += [{"s": s, "e": e, "kind": k, "pattern": pattern_before(text, s), "instance": _digest(text[s:e]), "seed": True} for s, e in base[k]]
+                    for s, e in base[k]:
+                        pattern = pattern_before(text, s)
+                        own += [{"s": s, "e": e, "kind": x, "pattern": pattern, "instance": _instance(x, text[s:e]), "seed": 1 if x == k else -1} for x in (NUMBERS if k in NUMBERS else (k,))]
                 taken = covered([x for k in KINDS[:4] for x in base[k]])
                 for m in RUN.finditer(text):
                     s, e = m.span()
-                    if sum(c.isdigit() for c in m.group()) >= 4 and not overlaps(taken, s, e):
-                        own.append({"s": s, "e": e, "kind": "secret", "pattern": pattern_before(text, s), "instance": _digest(m.group()), "seed": bool(HEX.fullmatch(m.group()))})
+                    seed = bool(HEX.fullmatch(m.group()))  # a number inside a secret does not take its place
+                    if seed or (sum(c.isdigit() for c in m.group()) >= 4 and not overlaps(taken, s, e)):
+                        own.append({"s": s, "e": e, "kind": "secret", "pattern": pattern_before(text, s), "instance": _digest(m.group()), "seed": int(seed)})
+                for s, e, kinds in loose_runs(text):
+                    if not overlaps(taken, s, e):
+                        pattern = pattern_before(text, s)
+                        own += [{"s": s, "e": e, "kind": k, "pattern": pattern, "instance": _instance(k, text[s:e]), "seed": 0} for k in kinds]
                 shas.append(hashlib.sha256(listed.encode()).hexdigest())
                 spans.append(listed)
                 mentions.append(own)
@@ -137,19 +191,20 @@ def occurrences(docs: DataFrame) -> DataFrame:
 
     text = F.col("text").cast("string")
     return docs.select("doc_id", text.alias("text"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("text_hash")).mapInArrow(
-        run, f"doc_id {kind}, text_hash long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, base_spans string, mentions array<struct<s:int,e:int,kind:string,pattern:string,instance:long,seed:boolean>>"
+        run, f"doc_id {kind}, text_hash long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, base_spans string, mentions array<struct<s:int,e:int,kind:string,pattern:string,instance:long,seed:int>>"
     )
 
 
 def pattern_scores(mentions: DataFrame, turns: int = TURNS) -> DataFrame:
     """``mentions(kind, pattern, instance, seed)`` to (kind, pattern, confidence, support)."""
     edges = cut(mentions.where("pattern <> ''").groupBy("kind", "pattern", "instance").agg(F.max(F.col("seed").cast("double")).alias("seed")))
-    scored = edges.withColumn("value", F.col("seed"))
+    scored = edges.withColumn("value", F.greatest("seed", F.lit(0.0)))
     for turn in range(turns):
-        patterns = scored.groupBy("kind", "pattern").agg((F.sum("value") / (F.count("*") + SMOOTH)).alias("confidence"), F.sum(F.col("seed").cast("long")).alias("support"))
+        patterns = scored.groupBy("kind", "pattern").agg((F.sum("value") / (F.count("*") + SMOOTH)).alias("confidence"), F.sum((F.col("seed") > 0).cast("long")).alias("support"))
         if turn < turns - 1:
             best = edges.join(patterns, ["kind", "pattern"]).groupBy("kind", "instance").agg(F.max("confidence").alias("by_pattern"))
-            scored = edges.join(best, ["kind", "instance"]).select("kind", "pattern", "instance", "seed", F.greatest("seed", F.col("by_pattern")).alias("value"))
+            value = F.when(F.col("seed") < 0, 0.0).otherwise(F.greatest("seed", F.col("by_pattern")))
+            scored = edges.join(best, ["kind", "instance"]).select("kind", "pattern", "instance", "seed", value.alias("value"))
     return patterns
 
 
@@ -157,9 +212,11 @@ def extract(docs: DataFrame, confident: float = CONFIDENT, support: int = SUPPOR
     """``docs(doc_id, text)`` to the base columns and ``spans`` with what the patterns add."""
     found = cut(occurrences(docs))
     mentions = found.select("doc_id", "text_hash", F.explode("mentions").alias("m")).select("doc_id", "text_hash", "m.*")
-    good = pattern_scores(mentions).where((F.col("confidence") >= confident) & (F.col("support") >= support)).select("kind", "pattern")
-    added = mentions.where(F.col("kind") == KINDS[4]).join(good, ["kind", "pattern"], "left_semi")
-    spans: Column = F.array_join(F.transform(F.array_sort(F.collect_set(F.struct("s", "e"))), lambda x: F.concat_ws(":", F.lit(KINDS[4]), x["s"], x["e"])), ",")
+    good = pattern_scores(mentions).where((F.col("confidence") >= confident) & (F.col("support") >= support)).select("kind", "pattern", "confidence")
+    seeds = mentions.where((F.col("kind") == KINDS[4]) & (F.col("seed") > 0)).withColumn("confidence", F.lit(1.0))
+    runs = mentions.where("seed = 0").join(good, ["kind", "pattern"]).select(*seeds.columns)
+    added = seeds.unionByName(runs).groupBy("doc_id", "text_hash", "s", "e").agg(F.max(F.struct("confidence", "kind"))["kind"].alias("kind"))
+    spans: Column = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("s", "e", "kind"))), lambda x: F.concat_ws(":", x["kind"], x["s"], x["e"])), ",")
     by_doc = added.groupBy(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__hash")).agg(spans.alias("__more"))
     both = found.join(by_doc, found["doc_id"].eqNullSafe(F.col("__id")) & (found["text_hash"] == F.col("__hash")), "left")
     everything = F.concat_ws(",", F.when(F.col("base_spans") != "", F.col("base_spans")), F.col("__more"))

@@ -170,6 +170,24 @@ def test_personal_data(spark):
     assert "secret:9:25" in got[99]
 
 
+def test_patterns_of_every_kind_find_what_the_strict_forms_miss(spark):
+    rows = [(i, f"call me at +1 (555) 010-{1000 + i} or write to name{i}@mail.example.com from host at 10.0.{i}.7 today") for i in range(20)]
+    rows += [(100 + i, f"charge my card no {n}.") for i, n in enumerate(n for n in range(4111111111110000, 4111111111110400) if pii.luhn(str(n)))]
+    odd = {900: ("call me at ", "(555) 010-7777", "phone"), 901: ("write to ", "jos\u00e9 [at] mail.example.com", "email"), 902: ("host at ", "10-0-77-7", "ip"), 903: ("charge my card no ", "4111.1111.1111.1112", "card")}
+    rows += [(d, f"{'' if d == 900 else '+1 (555) 010-3333 or ' if d == 901 else 'name@mail.example.com from ' if d == 902 else ''}{before}{run} today") for d, (before, run, _) in odd.items()]
+    digest = "%032x" % (7919 * 10**20 + 10**34)
+    inside = "a1b2c3d4e5f6a7b8c9d0e1f2" + "4111111111111111" + "abcdefab"
+    rows += [(950, f"never seen before {digest} here"), (951, f"nor this {inside} one"), (952, "somewhere else (555) 010-7777 stands")]
+    got = {r.doc_id: r.spans for r in pii.extract(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    texts = dict(rows)
+    for d, (_, run, kind) in odd.items():
+        at = texts[d].index(run)
+        assert f"{kind}:{at}:{at + len(run)}" in got[d].split(","), (d, got[d])
+    assert got[950] == f"secret:18:{18 + len(digest)}"
+    assert f"secret:9:{9 + len(inside)}" in got[951].split(",")
+    assert got[952] == ""
+
+
 def test_empty_tables(spark):
     docs = spark.createDataFrame([], SCHEMA)
     vectors = spark.createDataFrame([], "vec_id long, embedding array<float>")
