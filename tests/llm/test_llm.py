@@ -1,6 +1,7 @@
 import random
 import sys
 import zlib
+from collections import Counter
 from pathlib import Path
 
 import numpy as np
@@ -153,6 +154,38 @@ def test_source_mix(corpus):
     assert got and sorted(map(tuple, got)) == sorted(map(tuple, source_mix.mix_sources(docs.repartition(7)).collect()))
 
 
+def test_packing_covers_every_length_near_the_bound():
+    rng = random.Random(14)
+    for size, histogram in ((2048, {k: rng.randint(1, 40) for k in range(1, 2049)}), (256, {k: rng.randint(1, 9) for k in range(60, 257)}), (64, {22: 1000, 9: 3}), (64, {k: 1 for k in range(1, 65)})):
+        need = np.zeros(size + 1, np.int64)
+        need[list(histogram)] = list(histogram.values())
+        solution, total, low = packing.fractional(need, size)
+        covered = sum(c * x for c, x in solution)
+        assert (covered + 1e-6 >= need).all() and low <= total + 1e-6
+        plan = packing.configurations(histogram, size)
+        held = Counter()
+        for config, times in plan:
+            assert sum(k * n for k, n in config.items()) <= size
+            held.update({k: n * times for k, n in config.items()})
+        assert held == histogram
+        assert sum(t for _, t in plan) <= low * 1.02 + 1, (size, total, low)
+
+
+def test_full_sequences_take_no_more_pieces_than_are_left():
+    rng = random.Random(15)
+    for _ in range(200):
+        left = np.zeros(41, np.int64)
+        for _ in range(rng.randint(1, 7)):
+            left[rng.randint(1, 40)] += rng.randint(1, 3)
+        top = int(np.flatnonzero(left)[-1])
+        sums = {top}
+        for k in np.flatnonzero(left).tolist():
+            for _ in range(int(left[k]) - (k == top)):
+                sums |= {s + k for s in sums if s + k <= 40}
+        got = packing._fullest(left, 40)
+        assert (got <= left).all() and got[top] and int((got * np.arange(41)).sum()) == max(sums)
+
+
 def test_license_scan(spark):
     rows = [(1, "x MIT License mit-license"), (2, "Licensed under CC BY-NC 4.0."), (3, None), (4, "mit. LICENSE"), (5, "the license of mit")]
     got = {r.doc_id: tuple(r)[1:7] for r in license_scan.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
