@@ -2,9 +2,9 @@
 
 The templates' words are an index from word to (template, place). The words of a document
 that the index knows are weighed by inverse document frequency over all documents; for each
-template its rarest words vote for the offset at which the template would stand, and offsets
-with enough votes are verified: the template's key phrase must stand there word by word. The
-score is the share of the template's weight that stands at its place.
+template every place of its key phrase's rarest word gives an offset at which the template
+would stand, and each is verified: the key phrase must stand there word by word. The score is
+the share of the template's weight that stands at its place.
 
 Nulls and texts without words have no places, no labels and score 0. Repeated rows are
 scanned each for itself; an empty table gives no rows; other columns are not looked at."""
@@ -34,7 +34,6 @@ TEMPLATES = (
     ("mpl-2.0", "mozilla public license", "this source code form is subject to the terms of the mozilla public license v 2 0"),
     ("isc", "with or without fee is hereby granted", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted"),
 )
-RARE, VOTES = 4, 2
 BREAKS = np.ones(256, bool)
 BREAKS[[*range(0x30, 0x3A), *range(0x61, 0x7B), *range(0x80, 0x100)]] = False
 
@@ -80,13 +79,12 @@ class Index:
         for label, key, key_at, notice in self.coded:
             if not present.issuperset(key.tolist()):
                 continue
-            rare = sorted(set(notice.tolist()) & present, key=lambda w: (-idf[w], w))[:RARE]
-            offsets = [np.unique((np.flatnonzero(words == w)[:, None] - np.flatnonzero(notice == w)[None, :]).ravel()) for w in rare]
-            start, votes = np.unique(np.concatenate(offsets), return_counts=True)
-            for s in start[votes >= min(VOTES, len(rare))].tolist():
-                k = s + key_at
-                if k < 0 or k + len(key) > len(words) or (words[k : k + len(key)] != key).any():
-                    continue
+            rarest = max(range(len(key)), key=lambda i: (idf[key[i]], key[i]))
+            places = np.flatnonzero(words == key[rarest]) - rarest
+            places = places[(places >= 0) & (places + len(key) <= len(words))]
+            for i, w in enumerate(key):
+                places = places[words[places + i] == w]
+            for s in (places - key_at).tolist():
                 lo, hi = max(s, 0), min(s + len(notice), len(words))
                 right = words[lo:hi] == notice[lo - s : hi - s]
                 labels.add(label)

@@ -192,6 +192,19 @@ def test_license_scan(spark):
     assert got == {1: (5, 2, 1, 3, "mit", "mit"), 2: (7, 0, None, None, "", "cc-by-nc-4.0"), 3: (0, 0, None, None, "", ""), 4: (2, 1, 0, 0, "mit", "mit"), 5: (4, 0, None, None, "", "")}
 
 
+def test_key_phrases_are_found_beside_rarer_words_of_their_notice():
+    index = license_scan.Index()
+    idf = np.ones(len(index.words))
+    for label, key, _, notice in index.coded:
+        own = idf.copy()
+        others = [w for w in dict.fromkeys(notice.tolist()) if w not in key]
+        own[others] = 5.0  # stand elsewhere, and are rarer than the key's words
+        words = np.array([*others, *[-1] * 40, *key.tolist(), *[-1] * 40, *others[::-1]])
+        labels, score = index.verified(words, own)
+        assert label in labels and score > 0, label
+        assert label not in index.verified(np.array([*key.tolist()[:-1], -1, key[-1]]), own)[0]
+
+
 def test_personal_data(spark):
     tricky = ["a@b@c.de x@y.z", "@", "..@a.b", "é x.y@é.fr u@v.w.", "1.2.3.4.5.6.7.8 300.1.1.1", "4111-1111 1111 1111 41", "+1 (234) 555-0101 +12", None, ""]
     rng = random.Random(9)
