@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from recblock.operators.scan import running_sums
+
 
 def let(value: Column, body) -> Column:
     """``body`` of a value that is computed once, however often the body names it."""
@@ -50,6 +52,19 @@ def vocabulary_growth(texts: DataFrame, k: int, sizes: list[int]) -> DataFrame:
     return rows.groupBy("n").agg(F.count("*").alias("w_n"))
 
 
+def vocabulary_growth_whole(texts: DataFrame, k: int, shares: tuple[int, ...] = (16, 8, 4, 2, 1)) -> DataFrame:
+    """Distinct shingles among the first records in order of id, whatever the ids are, for one
+    n-th of the records for each of ``shares``, 1 being all; (n, w_n)."""
+    placed = running_sums(texts, [F.col("rec_id")], {"place": F.lit(1)})
+    terms = placed.select("place", F.explode(shingle_set(F.col("rec_text"), k)).alias("term")).groupBy("term").agg(F.min("place").alias("first"))
+    total = texts.count()
+    sizes = sorted({-(-total // d) for d in shares if total})
+    if not sizes:
+        return terms.select(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("w_n")).limit(0)
+    rows = terms.select(F.explode(F.array(*[F.lit(n).cast("long") for n in sizes])).alias("n"), "first").where("first <= n")
+    return rows.groupBy("n").agg(F.count("*").alias("w_n"))
+
+
 def growth_exponent(growth: DataFrame) -> DataFrame:
     return growth.agg(F.round(F.regr_slope(F.ln("w_n"), F.ln("n")), 6).alias("beta"))
 
