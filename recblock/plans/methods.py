@@ -460,15 +460,27 @@ def private_link_persons(spark, sf_dir):
 
 @query("benchmark_containment", "SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)")
 def benchmark_containment(spark, sf_dir):
-    """Two files: passages that stand in a document, found by a shared rare eight-word shingle, then checked."""
-    words = lambda c: shingle.word_shingles(F.col(c), 8)
     b = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select("item_id", F.col("text").alias("passage"))
-    d = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    inner = F.slice(shingle.word_bag(F.col("passage")), 2, F.greatest(F.size(shingle.word_bag(F.col("passage"))) - 2, F.lit(1)))
-    probe = b.select("item_id", "passage", F.array_join(F.slice(inner, 1, 8), " ").alias("s"), F.least(F.size(inner), F.lit(8)).alias("n"))
-    long = probe.where("n = 8").drop("n")
-    found = d.select("doc_id", F.explode(F.array_distinct(words("text"))).alias("s")).join(F.broadcast(long.select("item_id", "s")), "s").select("item_id", "doc_id")
-    return found.join(d, "doc_id").join(F.broadcast(long.select("item_id", "passage")), "item_id").where(F.expr("contains(text, passage)")).select("item_id", "doc_id").distinct()
+    return contained(b, spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+
+
+def contained(b: DataFrame, d: DataFrame) -> DataFrame:
+    """Passages that stand in a document, found by their first inner words, eight or as many as
+    they have, then checked. Passages of one or two words have no inner word and are checked everywhere."""
+    bag = shingle.word_bag(F.col("passage"))
+    inner = F.greatest(F.coalesce(F.size(bag), F.lit(0)) - 2, F.lit(0))
+    probe = cut(b.withColumn("n", F.least(inner, F.lit(8))).withColumn("s", F.array_join(F.slice(bag, F.lit(2), F.col("n")), " ")))
+    out = None
+    for n in sorted(r[0] for r in probe.select("n").distinct().collect()) or [8]:  # nine sizes at most
+        own = probe.where(F.col("n") == n)
+        if n:
+            found = d.select("doc_id", F.explode(F.array_distinct(shingle.word_shingles(F.col("text"), n))).alias("s")).join(F.broadcast(own.select("item_id", "s")), "s").select("item_id", "doc_id")
+            part = found.join(d, "doc_id").join(F.broadcast(own.select("item_id", "passage")), "item_id").where(F.expr("contains(text, passage)"))
+        else:
+            part = d.join(F.broadcast(own.select("item_id", "passage")), F.expr("contains(text, passage)"))
+        part = part.select("item_id", "doc_id").distinct()
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query("label_strata_recall")
