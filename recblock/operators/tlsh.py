@@ -6,15 +6,17 @@ import heapq
 from collections import defaultdict
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from recblock.operators.graph import connected_components
-from recblock.operators.minhash import band_keys, bucket_edges, bucket_stars, minhash, shared_keys
+from recblock.operators.minhash import band_keys, bucket_stars, fast_signatures, shared_keys
 from recblock.operators.shingle import with_text
-from recblock.session import cut
+from recblock.session import cut, stored
 
-WORKER_LIMIT = 50_000  # a larger component goes through label_moves first
+EDGE_LIMIT = 1_000_000  # a part with more possible edges goes through label_moves first
+LABEL_LIMIT = 1_400  # so many records of one label have fewer edges than that
+PULLING = 8  # labels of a bucket that pull its members: the most frequent ones
 
 
 def modularity(edges: list[tuple[int, int, float]], community: dict[int, int]) -> float:
@@ -67,15 +69,15 @@ def greedy_communities(nodes: list[int], edges: list[tuple[int, int, float]], ca
     return {v: min(own) for own in members.values() for v in own}
 
 
-def capped_communities(nodes: list[int], edges: list[tuple[int, int, float]], cap: int, scope: str = "oversized", mode: str = "recursive") -> tuple[dict[int, int], int]:
-    """Communities of at most ``cap`` nodes, and how many parts had to be cut in even runs
-    because modularity left them whole."""
+def capped_communities(nodes: list[int], edges: list[tuple[int, int, float]], cap: int, scope: str = "oversized", mode: str = "recursive") -> tuple[dict[int, int], set[int]]:
+    """Communities of at most ``cap`` nodes, and the communities that had to be cut as even runs
+    of a part that modularity left whole."""
     if scope == "oversized" and len(nodes) <= cap:
-        return {v: min(nodes) for v in nodes}, 0
+        return {v: min(nodes) for v in nodes}, set()
     if mode == "constrained":
-        return greedy_communities(nodes, edges, cap), 0
+        return greedy_communities(nodes, edges, cap), set()
     out: dict[int, int] = {}
-    forced = 0
+    forced: set[int] = set()
     work = [(nodes, edges)]
     while work:
         own, inner = work.pop()
@@ -87,69 +89,89 @@ def capped_communities(nodes: list[int], edges: list[tuple[int, int, float]], ca
             if len(part) <= cap:
                 out.update((v, min(part)) for v in part)
             elif len(parts) == 1:
-                forced += 1
                 part.sort()
                 pieces = -(-len(part) // cap)
                 for i in range(pieces):
                     run = part[i * len(part) // pieces : (i + 1) * len(part) // pieces]
                     out.update((v, run[0]) for v in run)
+                    forced.add(run[0])
             else:
                 held = set(part)
                 work.append((part, [e for e in inner if e[0] in held and e[1] in held]))
     return out, forced
 
 
-def label_moves(edges: DataFrame, nodes: DataFrame, rounds: int = 4, cap: int = WORKER_LIMIT) -> DataFrame:
-    """(node, label): synchronous moves to the neighbouring label of greatest modularity gain, by
-    turns for odd and even digests, for components that no worker should hold; labels that are
-    still above ``cap`` are cut by digest."""
-    both = edges.select("src", "dst", "w").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
-    degree = cut(both.groupBy("src").agg(F.sum("w").alias("d")))
-    m2 = float(degree.agg(F.sum("d")).first()[0] or 1.0)
-    labels = cut(nodes.select("node", F.col("node").alias("label")))
+def label_moves(keys: DataFrame, rounds: int = 4, cap: int = LABEL_LIMIT) -> DataFrame:
+    """``keys(rec_id, part, band, key)`` to (rec_id, label, forced), for parts that no worker should
+    hold. Records move to the label of greatest modularity gain, by turns for odd and even digests.
+    No edge is made: a bucket pulls its members towards its most frequent labels, by how many
+    members bear them. A label still above ``cap`` is cut by digest, which ``forced`` tells."""
+    bucket = ["part", "band", "key"]
+    sizes = keys.groupBy(*bucket).agg(F.count("*").alias("v"), F.min("rec_id").alias("least"))
+    start = stored(keys.join(sizes, bucket).groupBy("part", "rec_id").agg(F.sum(F.col("v") - 1).cast("double").alias("d"), F.count("*").alias("own"), F.min("least").alias("label")))
+    m2 = start.groupBy("part").agg(F.sum("d").alias("m2"))
+    degree = start.select("part", "rec_id", "d", "own")
+    labels = start.select("part", "rec_id", "label")
+    first = Window.partitionBy(*bucket).orderBy(F.desc("c"), "label")
     for r in range(rounds):
-        mass = labels.join(degree, labels["node"] == degree["src"]).groupBy("label").agg(F.sum("d").alias("mass"))
-        pull = both.join(labels.withColumnRenamed("node", "dst"), "dst").groupBy("src", "label").agg(F.sum("w").alias("pull"))
-        scored = pull.join(mass, "label").join(degree, "src").select("src", "label", (F.col("pull") - F.col("d") * F.col("mass") / m2).alias("gain"))
-        best = scored.groupBy("src").agg(F.max(F.struct("gain", -F.col("label"))).alias("b")).select(F.col("src").alias("node"), (-F.col("b.col2")).alias("to"), F.col("b.gain").alias("gain"))
-        turn = F.pmod(F.xxhash64("node"), F.lit(2)) == r % 2
-        labels = cut(labels.join(best, "node", "left").select("node", F.when(turn & (F.col("gain") > 0), F.col("to")).otherwise(F.col("label")).alias("label")))
-    sizes = labels.groupBy("label").agg(F.count("*").alias("n"))
-    return labels.join(sizes, "label").select("node", F.xxhash64("label", F.pmod(F.xxhash64("node"), F.ceil(F.col("n") / cap))).alias("label"))
+        mass = labels.join(degree, ["part", "rec_id"]).groupBy("part", "label").agg(F.sum("d").alias("mass"))
+        pulling = keys.join(labels, ["part", "rec_id"]).groupBy(*bucket, "label").agg(F.count("*").alias("c")).withColumn("__n", F.row_number().over(first)).where(F.col("__n") <= PULLING)
+        pull = keys.join(pulling.drop("__n"), bucket).groupBy("part", "rec_id", "label").agg(F.sum("c").alias("pull"))
+        now = labels.withColumnRenamed("label", "mine")
+        at_home = F.col("label") == F.col("mine")
+        scored = pull.join(mass, ["part", "label"]).join(degree, ["part", "rec_id"]).join(now, ["part", "rec_id"]).join(m2, "part")
+        gain = F.col("pull") - F.when(at_home, F.col("own")).otherwise(0) - F.col("d") * (F.col("mass") - F.when(at_home, F.col("d")).otherwise(0.0)) / F.col("m2")
+        best = scored.groupBy("part", "rec_id").agg(F.max(F.struct(gain.alias("gain"), (-F.col("label")).alias("minus"))).alias("b")).select("part", "rec_id", (-F.col("b.minus")).alias("to"), F.col("b.gain").alias("gain"))
+        turn = F.pmod(F.xxhash64("rec_id"), F.lit(2)) == r % 2
+        labels = stored(labels.join(best, ["part", "rec_id"], "left").select("part", "rec_id", F.when(turn & (F.col("gain") > 0), F.col("to")).otherwise(F.col("label")).alias("label")))
+    many = labels.groupBy("part", "label").agg(F.count("*").alias("n"))
+    piece = F.pmod(F.xxhash64("rec_id"), F.ceil(F.col("n") / cap))
+    return labels.join(many, ["part", "label"]).select("rec_id", F.xxhash64("part", "label", piece).alias("label"), (F.col("n") > cap).alias("forced"))
 
 
 def tlsh_blocks(records: DataFrame, fields: list[str], k: int = 5, p: int = 100, b: int = 22, cap: int = 500, seed: int = 42, community: str = "greedy", scope: str = "oversized", mode: str = "recursive", weight: str = "one") -> DataFrame:
     """(rec_id, block_id): a partition whose blocks have at most ``cap`` records. Components are
-    found on star edges; all edges are made inside oversized components only."""
+    found on star edges; all edges are made inside oversized components only. Records without
+    text, and nulls, are blocks of their own; an empty table has no blocks."""
     texts = with_text(records, fields)
-    keys = cut(shared_keys(band_keys(minhash(texts, k, p, seed), p, b, fast=True)))
-    return blocks_of_keys(keys, texts.select("rec_id"), cap, community, scope, mode, weight)
+    return blocks_of_keys(text_keys(texts, k, p, b, seed), texts.select("rec_id"), cap, community, scope, mode, weight).select("rec_id", "block_id")
 
 
-def blocks_of_keys(keys: DataFrame, ids: DataFrame, cap: int = 500, community: str = "greedy", scope: str = "oversized", mode: str = "recursive", weight: str = "one") -> DataFrame:
-    components = cut(connected_components(bucket_stars(keys), ids.select(F.col("rec_id").alias("node"))))
+def text_keys(texts: DataFrame, k: int = 5, p: int = 100, b: int = 22, seed: int = 42) -> DataFrame:
+    """Shared band keys, written once before they are counted: signatures are worked out once."""
+    return stored(shared_keys(stored(band_keys(fast_signatures(texts, k, p, seed), p, b, fast=True))))
+
+
+def blocks_of_keys(keys: DataFrame, ids: DataFrame, cap: int = 500, community: str = "greedy", scope: str = "oversized", mode: str = "recursive", weight: str = "one", edge_limit: int = EDGE_LIMIT) -> DataFrame:
+    """(rec_id, block_id, forced): ``forced`` where a block is an even run of a part that no
+    community cut. Possible edges are counted from bucket sizes first; where a part has more than
+    ``edge_limit``, label moves without edges cut it, so a worker's edges are bounded."""
+    components = stored(connected_components(bucket_stars(keys), ids.select(F.col("rec_id").alias("node"))))
     if community == "none":
-        return components.select(F.col("node").alias("rec_id"), F.col("component_id").alias("block_id"))
+        return components.select(F.col("node").alias("rec_id"), F.col("component_id").alias("block_id"), F.lit(False).alias("forced"))
     sizes = components.groupBy("component_id").agg(F.count("*").alias("n"))
     large = sizes.where(F.col("n") > (cap if scope == "oversized" else 1))
-    small = components.join(large, "component_id", "left_anti").select(F.col("node").alias("rec_id"), F.col("component_id").alias("block_id"))
-    inside = components.join(large, "component_id")
-    members = inside.select(F.col("node").alias("rec_id"), F.col("component_id").alias("part"), "n")
-    edges = bucket_edges(keys.join(members.select("rec_id"), "rec_id", "left_semi")).select("src", "dst", (F.col("bands_hit") if weight == "bands_hit" else F.lit(1)).cast("double").alias("w"))
-    huge = members.where(F.col("n") > WORKER_LIMIT)
-    if not huge.isEmpty():
-        own = huge.select(F.col("rec_id").alias("node"))
-        moved = label_moves(edges.join(own.withColumnRenamed("node", "src"), "src", "left_semi"), own)
-        members = members.join(moved.withColumnRenamed("node", "rec_id"), "rec_id", "left").withColumn("part", F.coalesce("label", "part"))
-    parts = cut(members.select("rec_id", "part"))
-    inner = edges.join(parts.withColumnRenamed("rec_id", "src"), "src").join(parts.select(F.col("rec_id").alias("dst"), F.col("part").alias("other")), "dst").where("part = other").select("part", "src", "dst", "w")
-    rows = parts.select("part", F.col("rec_id").alias("src"), F.lit(None).cast("long").alias("dst"), F.lit(0.0).alias("w")).unionByName(inner)
+    small = components.join(large, "component_id", "left_anti").select(F.col("node").alias("rec_id"), F.col("component_id").alias("block_id"), F.lit(False).alias("forced"))
+    members = components.join(large, "component_id").select(F.col("node").alias("rec_id"), F.col("component_id").alias("part"))
+    inside = stored(keys.join(members, "rec_id").select("rec_id", "part", "band", "key"))
+    bucket = ["part", "band", "key"]
+    possible = inside.groupBy(*bucket).agg(F.count("*").alias("v")).groupBy("part").agg(F.sum(F.col("v") * (F.col("v") - 1) / 2).alias("e"))
+    heavy = possible.where(F.col("e") > edge_limit).select("part")
+    parts = members.select("rec_id", "part", F.lit(False).alias("forced"))
+    if not heavy.isEmpty():
+        moved = label_moves(stored(inside.join(heavy, "part", "left_semi")))
+        parts = stored(parts.join(heavy, "part", "left_anti").unionByName(moved.withColumnRenamed("label", "part"), allowMissingColumns=False).select("rec_id", "part", "forced"))
+        inside = stored(inside.drop("part").join(parts.select("rec_id", "part"), "rec_id"))
+    a, b = inside.select(*bucket, F.col("rec_id").alias("src")), inside.select(*bucket, F.col("rec_id").alias("dst"))
+    edges = a.join(b, bucket).where("src < dst").groupBy("part", "src", "dst").agg((F.count("*") if weight == "bands_hit" else F.lit(1)).cast("double").alias("w"))
+    rows = parts.select("part", F.col("rec_id").alias("src"), F.lit(None).cast("long").alias("dst"), F.col("forced").cast("double").alias("w")).unionByName(edges)
 
     def split(pdf: pd.DataFrame) -> pd.DataFrame:
         single = pdf["dst"].isna()
         nodes = sorted(pdf.loc[single, "src"].tolist())
         links = [(int(a), int(c), float(w)) for a, c, w in pdf.loc[~single, ["src", "dst", "w"]].itertuples(index=False)]
-        found, _ = capped_communities(nodes, links, cap, scope, mode)
-        return pd.DataFrame({"rec_id": list(found), "block_id": list(found.values())})
+        found, forced = capped_communities(nodes, links, cap, scope, mode)
+        every = bool(pdf.loc[single, "w"].any())
+        return pd.DataFrame({"rec_id": list(found), "block_id": list(found.values()), "forced": [every or c in forced for c in found.values()]})
 
-    return small.unionByName(rows.groupBy("part").applyInPandas(split, "rec_id long, block_id long"))
+    return small.unionByName(rows.groupBy("part").applyInPandas(split, "rec_id long, block_id long, forced boolean"))

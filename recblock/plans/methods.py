@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from recblock.operators import cluster as X
 from recblock.operators import criteria as D
 from recblock.operators import graph, klsh, linkage, metrics, minhash, shingle, tlsh
-from recblock.session import cut
+from recblock.session import cut, stored
 from recblock.sources.persons import CLEAN_FIELDS, fields_of, file_sql, persons
 
 QUERIES: dict = {}
@@ -204,7 +204,7 @@ c AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b, count(*) AS k FROM t a JOIN t b
 SELECT id_a, id_b, round(k / (x.n + y.n - k), 6) AS jaccard FROM c JOIN n x ON x.rec_id = id_a JOIN n y ON y.rec_id = id_b WHERE k / (x.n + y.n - k) >= 0.5""")
 def jaccard_truth_documents(spark, sf_dir):
     """Exact similarity of at least one half among the documents."""
-    return minhash.similar_pairs(_document_texts(spark, sf_dir), 0.5, 5)
+    return minhash.similar_pairs(_document_texts(spark, sf_dir), 50, 5)
 
 
 # projection blocking
@@ -399,9 +399,9 @@ def tlsh_grid_persons(spark, sf_dir):
     r, t = _texts(spark, sf_dir, "clean10k")
     out = None
     for k in (3, 4, 5):
-        sig = cut(minhash.minhash(t, k, 100))
+        sig = stored(minhash.fast_signatures(t, k, 100))
         for b, cap in ((22, 500), (26, 500)) + (((26, 50), (26, 10_000)) if k == 5 else ()):
-            keys = cut(minhash.shared_keys(minhash.band_keys(sig, 100, b, fast=True)))
+            keys = stored(minhash.shared_keys(stored(minhash.band_keys(sig, 100, b, fast=True))))
             part = tlsh.blocks_of_keys(keys, r.select("rec_id"), cap).select("rec_id", "block_id", F.lit(k).alias("k"), F.lit(b).alias("b"), F.lit(cap).alias("cap"))
             out = part if out is None else out.unionByName(part)
     return metrics.block_scores(out, r, ["k", "b", "cap"]).select("k", "b", "cap", "recall", "rr", "max_block")
