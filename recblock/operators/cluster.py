@@ -2,24 +2,95 @@
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from recblock.operators.graph import connected_components
-from recblock.operators.klsh import bag_similarity, rank_by_digest, weighted_terms
+from recblock.operators.klsh import rank_by_digest
+from recblock.operators.minhash import similar_pairs
 from recblock.operators.scan import running_sums
 from recblock.operators.shingle import shingle_counts
-from recblock.session import cut
+from recblock.session import cut, stored
+
+FEW = 10_000  # vectors that are sent to every worker at once
+
+
+def unit_bags(texts: DataFrame, k: int = 2) -> DataFrame:
+    """(rec_id, terms, ws): unit TF-IDF vectors, the rarest terms first (by frequency, then digest).
+    Records without text, or whose terms stand in every record, have none."""
+    counts = stored(shingle_counts(texts, k))
+    df = counts.groupBy("term").agg(F.count("*").alias("df"))
+    weight = F.ln(F.lit(texts.count()) / F.col("df"))
+    terms = counts.join(df, "term").select("rec_id", "df", F.xxhash64("term").alias("h"), (F.col("tf") * weight).alias("w")).where("w > 0")
+    bags = terms.groupBy("rec_id").agg(F.array_sort(F.collect_list(F.struct("df", "h", "w"))).alias("b"), F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    return bags.select("rec_id", F.col("b.h").alias("terms"), F.transform("b.w", lambda w: w / F.col("norm")).alias("ws"))
+
 
+def epsilon_pairs(texts: DataFrame, t: float, k: int = 2, metric: str = "tfidf", block: int = 1024) -> DataFrame:
+    """(id_a, id_b, distance) of all pairs within t. ``tfidf``: Euclidean distance of unit vectors;
+    ``cosine``: one less their cosine; ``jaccard``: one less the share of common shingles.
 
-def epsilon_pairs(texts: DataFrame, t: float, k: int = 2) -> DataFrame:
-    """(id_a, id_b, distance): Euclidean distance at most t between unit TF-IDF vectors. Below the
-    square root of two, close records share a term, so the inverted index has them all."""
-    if t >= 2**0.5:
-        raise ValueError("beyond the square root of two every pair is near")
-    sims = bag_similarity(weighted_terms(shingle_counts(texts, k), texts.count()), normalize=True)
-    return sims.select("id_a", "id_b", F.sqrt(F.greatest(F.lit(0.0), F.round(2 - 2 * F.col("sim"), 9))).alias("distance")).where(F.col("distance") <= t)
+    Prefix filter: a vector's rarest terms, as many as leave a rest shorter than the least
+    similarity, are its prefix; two near vectors share a term of both prefixes. Each prefix term's
+    records are compared in cells of at most two blocks, whatever their number, and a pair is told
+    by its first common prefix term only."""
+    if metric == "jaccard":
+        percent = math.ceil(round((1 - t) * 100, 6))
+        return similar_pairs(texts, percent, k).select("id_a", "id_b", (1 - F.col("jaccard")).alias("distance")).where(F.col("distance") <= t)
+    limit, far = (1.0, t) if metric == "cosine" else (2**0.5, t * t / 2)
+    if t >= limit:
+        raise ValueError("beyond orthogonal vectors every pair is near")
+    least = 1 - far
+    bags = stored(unit_bags(texts, k))
+
+    @F.arrow_udf("int")
+    def prefix_length(ws: pa.Array) -> pa.Array:
+        length = pc.list_value_length(ws).to_numpy()
+        total = np.append(0.0, np.cumsum(ws.flatten().to_numpy() ** 2))
+        end = np.cumsum(length)
+        after = np.repeat(total[end], length) - total[1:]  # squares of what follows each term
+        long = np.append(0, np.cumsum(np.sqrt(np.maximum(after, 0.0)) >= least - 1e-9))
+        return pa.array(np.minimum(1 + long[end] - long[end - length], length), pa.int32())
+
+    placed = bags.select("rec_id", "terms", "ws", F.posexplode(F.slice("terms", F.lit(1), prefix_length("ws"))).alias("at", "term"))
+    many = placed.groupBy("term").agg(F.ceil(F.count("*") / block).cast("int").alias("g"), F.count("*").alias("n")).where("n > 1")
+    cells = placed.join(many, "term").withColumn("own", F.pmod(F.xxhash64("rec_id", "term"), "g").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
+    cells = cells.select("term", "at", "rec_id", "terms", "ws", "own", F.least("own", "other").alias("ci"), F.greatest("own", "other").alias("cj"))
+
+    def compare(table: pa.Table) -> pa.Table:
+        ids, own, at = (table.column(c).to_numpy() for c in ("rec_id", "own", "at"))
+        first, second = int(table.column("ci")[0].as_py()), int(table.column("cj")[0].as_py())
+        lists = table.column("terms").combine_chunks()
+        length = pc.list_value_length(lists).to_numpy()
+        row = np.repeat(np.arange(len(ids)), length)
+        words, column = np.unique(lists.flatten().to_numpy(), return_inverse=True)
+        weight = table.column("ws").combine_chunks().flatten().to_numpy()
+        place = np.arange(len(row)) - np.repeat(np.cumsum(length) - length, length)
+        x, y = (np.arange(len(ids)),) * 2 if first == second else (np.flatnonzero(own == first), np.flatnonzero(own == second))
+        sims, seen = np.zeros((len(x), len(y))), np.zeros((len(x), len(y)), bool)
+        for c in range(0, len(words), 4096):
+            part = (column >= c) & (column < c + 4096)
+            dense = np.zeros((len(ids), min(4096, len(words) - c)))
+            dense[row[part], column[part] - c] = weight[part]
+            sims += dense[x] @ dense[y].T
+            part &= place < at[row]  # prefix terms before this one
+            if part.any():
+                before = np.zeros(dense.shape, np.float32)
+                before[row[part], column[part] - c] = 1
+                seen |= before[x] @ before[y].T > 0
+        apart = 1 - sims if metric == "cosine" else np.sqrt(np.maximum(0.0, (2 - 2 * sims).round(9)))
+        a, b = np.nonzero((apart <= t) & ~seen)
+        one, two, d = ids[x[a]], ids[y[b]], apart[a, b]
+        keep = one < two if first == second else one != two
+        return pa.table({"id_a": np.minimum(one, two)[keep], "id_b": np.maximum(one, two)[keep], "distance": d[keep]})
+
+    return cells.groupBy("term", "ci", "cj").applyInArrow(compare, "id_a long, id_b long, distance double")
 
 
 def cell_pairs(points: DataFrame, t: float) -> DataFrame:
@@ -38,53 +109,75 @@ def vector_pairs(vectors: DataFrame, t: float) -> DataFrame:
     return candidates.join(side("a"), "id_a").join(side("b"), "id_b").select("id_a", "id_b", far.alias("distance")).where(F.col("distance") <= t)
 
 
-def tnn_blocks(ids: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Threshold nearest neighbours. Growing a cluster until its nearest outsider is too far ends
-    at a component of the graph of near pairs, from whatever base it began."""
+def tnn_blocks(ids: DataFrame, pairs: DataFrame, growth: str = "chain", seed: int = 42) -> DataFrame:
+    """Threshold nearest neighbours over ``pairs`` of near records. ``chain``: growing a cluster until
+    its nearest outsider is too far ends at a component of the graph of near pairs, from whatever base
+    it began. ``base``: only what is near to the base itself joins, bases in a random order."""
+    if growth == "base":
+        near = pairs.select("id_a", "id_b", F.lit(0.0).alias("distance"))
+        return canopy_blocks(canopies(ids, near, 0.0, 0.0, seed), "equal", seed)
     edges = pairs.select(F.col("id_a").alias("src"), F.col("id_b").alias("dst"))
     return connected_components(edges, ids.select(F.col("rec_id").alias("node"))).select(F.col("node").alias("rec_id"), F.col("component_id").alias("block_id"))
 
 
 def sorted_tnn_blocks(texts: DataFrame, t: int) -> DataFrame:
     """Records in the order of their text; a new block where the edit distance to the one before
-    exceeds t. The order is cut into ranges, each with its predecessor's last text, never one partition."""
-    order = [F.col("rec_text"), F.col("rec_id")]
-    ranked = cut(running_sums(texts, order, {"__pos": F.lit(1)}))
-    before = ranked.select((F.col("__pos") + 1).alias("__pos"), F.col("rec_text").alias("__before"))
-    flagged = ranked.join(before, "__pos", "left").withColumn("__new", F.when(F.col("__before").isNull() | (F.levenshtein("rec_text", "__before") > t), 1).otherwise(0))
-    return running_sums(flagged.select("rec_id", "__pos", "__new"), [F.col("__pos")], {"block_id": F.col("__new")}).select("rec_id", "block_id")
+    exceeds t. The order is cut into ranges once; each range looks back to the last text of the
+    ranges before it, and the blocks are numbered by two-phase sums. Null texts count as empty."""
+    spark = texts.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    ranged = texts.select("rec_id", F.coalesce("rec_text", F.lit("")).alias("rec_text")).repartitionByRange(parts, "rec_text", "rec_id")
+    placed = stored(ranged.withColumn("__pid", F.spark_partition_id()))
+    ends = placed.groupBy("__pid").agg(F.max(F.struct("rec_text", "rec_id")).alias("m"))
+    carried = ends.select((F.lead("__pid").over(Window.orderBy("__pid"))).alias("__pid"), F.col("m.rec_text").alias("__carried"))  # one row for each range
+    inside = Window.partitionBy("__pid").orderBy("rec_text", "rec_id")
+    before = F.coalesce(F.lag("rec_text").over(inside), F.col("__carried"))
+    new = placed.join(F.broadcast(carried.where("__pid is not null")), "__pid", "left").withColumn("__before", before)
+    flagged = stored(new.select("rec_id", "rec_text", "__pid", F.when(F.col("__before").isNull() | (F.levenshtein("rec_text", "__before") > t), 1).otherwise(0).alias("__new")))
+    totals = flagged.groupBy("__pid").agg(F.sum("__new").alias("__t"))
+    offsets = totals.select("__pid", F.coalesce(F.sum("__t").over(Window.orderBy("__pid").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__b"))
+    running = F.sum("__new").over(inside.rowsBetween(Window.unboundedPreceding, 0))
+    return flagged.join(F.broadcast(offsets), "__pid").select("rec_id", (running + F.col("__b")).alias("block_id"))
 
 
-def knn_blocks(vectors: DataFrame, k: int, limit: int = 20_000) -> DataFrame:
+def knn_blocks(vectors: DataFrame, k: int, cells: int = 1, limit: int = 20_000) -> DataFrame:
     """Clusters of at least k: a base (least id left) takes its k - 1 nearest; what is over joins
-    the cluster of its nearest record. Exact inside one cell; larger files are cut into cells
-    along the first component, each of about ``limit`` records."""
+    the cluster of its nearest record. The greedy order is sequential, so a worker holds a cell:
+    ``cells`` of them, cut along the first component, are each clustered for itself, as the caller
+    asks; more than ``limit`` records in a cell are refused, not cut silently. Records with a null
+    vector, or one with a null, make a cell and a cluster of their own."""
     n = vectors.count()
-    cells = max(1, -(-n // limit))
-    placed = vectors.withColumn("cell", F.lit(0))
+    if n > cells * limit:
+        raise ValueError(f"{n} records need at least {-(-n // limit)} cells")
+    whole = F.coalesce(~F.exists("vec", lambda x: x.isNull() | F.isnan(x)), F.lit(False))
+    good = vectors.where(whole)
+    placed = good.select("rec_id", "vec", F.lit(0).cast("long").alias("cell"))
     if cells > 1:
-        placed = running_sums(vectors, [F.col("vec")[0], F.col("rec_id")], {"__pos": F.lit(1)}).withColumn("cell", F.floor((F.col("__pos") - 1) * cells / n)).select("rec_id", "vec", "cell")
+        placed = running_sums(good, [F.col("vec")[0], F.col("rec_id")], {"__pos": F.lit(1)}).select("rec_id", "vec", F.floor((F.col("__pos") - 1) * cells / n).alias("cell"))
+    rest = vectors.where(~whole)
 
     def grow(pdf: pd.DataFrame) -> pd.DataFrame:
-        import numpy as np
-
         pdf = pdf.sort_values("rec_id")
         ids, x = pdf["rec_id"].to_numpy(), np.stack(pdf["vec"].to_numpy())
         block, left = np.full(len(ids), -1), np.ones(len(ids), bool)
+        if len(ids) < k:
+            return pd.DataFrame({"rec_id": ids, "block_id": ids.min()})
+        base_of = np.full(len(ids), -1)
         while left.sum() >= k:
             base = int(np.flatnonzero(left)[0])
             d = ((x - x[base]) ** 2).sum(1).round(9)
             d[~left] = np.inf
             d[base] = -1
             own = np.lexsort((ids, d))[:k]
-            block[own], left[own] = ids[own].min(), False
+            block[own], left[own], base_of[own] = ids[own].min(), False, base
         for i in np.flatnonzero(left):
-            d = ((x - x[i]) ** 2).sum(1)
-            d[block < 0] = np.inf
-            block[i] = block[int(d.argmin())] if np.isfinite(d).any() else ids[0]
+            d = ((x - x[i]) ** 2).sum(1).round(9)
+            d[base_of < 0] = np.inf
+            block[i] = block[int(d.argmin())]
         return pd.DataFrame({"rec_id": ids, "block_id": block})
 
-    return placed.groupBy("cell").applyInPandas(grow, "rec_id long, block_id long")
+    least = rest.agg(F.min("rec_id").alias("block_id"))  # one row
+    return placed.groupBy("cell").applyInPandas(grow, "rec_id long, block_id long").unionByName(rest.select("rec_id").join(F.broadcast(least)))
 
 
 def canopy_bases(ids: DataFrame, near: DataFrame, seed: int = 42) -> DataFrame:
@@ -126,30 +219,49 @@ def canopy_blocks(cover: DataFrame, mode: str = "equal", seed: int = 42) -> Data
     return cover.join(order, "canopy_id").groupBy("rec_id").agg(F.min_by("canopy_id", "ord").alias("block_id"))
 
 
-def reference_blocks(records: DataFrame, refs: DataFrame, key: str, k: int) -> DataFrame:
-    """(rec_id, ref, block_id): each record's nearest preceding reference value; blocks of adjacent
-    values merge until they hold k records. Sums run over the values, which are few and public."""
-    marks = refs.select(F.col(key).alias("v")).distinct().collect()
-    values = sorted(r[0] for r in marks)
-    array = F.array(*[F.lit(v) for v in values])
-    ref = F.coalesce(F.element_at(F.filter(array, lambda v: v <= F.col(key)), -1), F.lit(""))
-    named = records.select("rec_id", ref.alias("ref"))
-    sizes = {r[0]: r[1] for r in named.groupBy("ref").agg(F.count("*")).collect()}  # one row per reference value
-    group, held, of = 0, 0, {}
-    for v in sorted(sizes):
-        of[v] = group
-        held += sizes[v]
+def reference_blocks(records: DataFrame, refs: DataFrame, key: str, k: int, most: int = 1_000_000) -> DataFrame:
+    """(rec_id, ref, block_id): each record's nearest reference value that is not above its own, by an
+    as-of scan (records and values in one order, cut into ranges, the last value carried on); blocks
+    of adjacent values merge until they hold k records, what is over joins the last block. A record
+    below all values, or with a null, has the empty value. Merging goes value by value, so at most
+    ``most`` of the public values may be in use; more are refused."""
+    spark = records.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    both = records.select("rec_id", F.col(key).alias("v"), F.lit(None).cast("string").alias("ref")).unionByName(refs.where(F.col(key).isNotNull()).select(F.lit(None).cast("long").alias("rec_id"), F.col(key).alias("v"), F.col(key).cast("string").alias("ref")).distinct())
+    placed = stored(both.repartitionByRange(parts, "v", F.col("rec_id").asc_nulls_first()).withColumn("__pid", F.spark_partition_id()))
+    order = [F.col("v").asc_nulls_first(), F.col("rec_id").asc_nulls_first()]
+    ends = placed.where("ref is not null").groupBy("__pid").agg(F.max("v").cast("string").alias("last"))
+    pids = placed.select("__pid").distinct().join(ends, "__pid", "left")
+    carried = pids.select("__pid", F.last("last", ignorenulls=True).over(Window.orderBy("__pid").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))  # one row for each range
+    inside = Window.partitionBy("__pid").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
+    found = F.coalesce(F.last("ref", ignorenulls=True).over(inside), F.col("carried"), F.lit(""))
+    named = stored(placed.join(F.broadcast(carried), "__pid").withColumn("found", found).where("rec_id is not null").select("rec_id", F.when(F.col("v").isNull(), F.lit("")).otherwise(F.col("found")).alias("ref")))
+    sizes = named.groupBy("ref").agg(F.count("*").alias("n"))
+    if sizes.count() > most:
+        raise ValueError(f"more than {most} reference values are in use")
+    group, held, of = 0, 0, []
+    for v, n in sorted(map(tuple, sizes.collect())):  # at most ``most`` rows
+        of.append((v, group))
+        held += n
         if held >= k:
             group, held = group + 1, 0
-    if held and group:  # what is over joins the last full block
-        of = {v: min(g, group - 1) for v, g in of.items()}
-    mapping = F.create_map(*[F.lit(x) for v, g in of.items() for x in (v, g)]) if of else F.create_map()
-    return named.select("rec_id", "ref", (mapping[F.col("ref")] if of else F.lit(0)).cast("long").alias("block_id"))
+    if held and group:
+        of = [(v, min(g, group - 1)) for v, g in of]
+    return named.join(spark.createDataFrame(of, "ref string, block_id long"), "ref").select("rec_id", "ref", "block_id")
 
 
 def assign_new(new: DataFrame, old: DataFrame, blocks: DataFrame) -> DataFrame:
-    """Block of the nearest record for each of a few new vectors."""
-    a, b = F.broadcast(new.select(F.col("rec_id").alias("new_id"), F.col("vec").alias("va"))), old.select("rec_id", F.col("vec").alias("vb"))
+    """Block of the nearest record for each new vector, ties to the smaller id; new vectors are sent
+    to the old ones so many at a time, each ``FEW`` of them in a pass over the old ones."""
+    turns = -(-new.count() // FEW)
     far = F.round(F.aggregate(F.zip_with("va", "vb", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x), 9)
-    nearest = b.join(a).groupBy("new_id").agg(F.min(F.struct(far.alias("d"), F.col("rec_id"))).alias("m")).select("new_id", F.col("m.rec_id").alias("rec_id"))
-    return nearest.join(blocks, "rec_id").select(F.col("new_id").alias("rec_id"), "block_id")
+    b = old.select("rec_id", F.col("vec").alias("vb"))
+    out = None
+    numbered = new.select(F.col("rec_id").alias("new_id"), F.col("vec").alias("va"))
+    if turns > 1:
+        numbered = stored(running_sums(numbered, [F.col("new_id")], {"__n": F.lit(1)}))
+    for i in range(max(turns, 1)):
+        a = numbered.where(F.floor((F.col("__n") - 1) / FEW) == i).drop("__n") if turns > 1 else numbered
+        part = b.join(F.broadcast(a)).groupBy("new_id").agg(F.min(F.struct(far.alias("d"), F.col("rec_id"))).alias("m")).select("new_id", F.col("m.rec_id").alias("rec_id"))
+        out = part if out is None else out.unionByName(part)
+    return out.join(blocks, "rec_id").select(F.col("new_id").alias("rec_id"), "block_id")

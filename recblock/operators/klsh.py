@@ -11,7 +11,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from recblock.operators.shingle import shingle_counts, with_text
-from recblock.session import cut
+from recblock.session import cut, stored
+
+CENTROID_NUMBERS = 1 << 24  # 128 MB
 
 
 def idf(counts: DataFrame, n: int, smooth: bool = False) -> DataFrame:
@@ -74,9 +76,17 @@ def blocks_for(n: int, mode: str = "sqrt", c: int = 100, size: int = 100) -> int
     return {"constant": c, "size": max(1, n // size), "sqrt": math.ceil(math.sqrt(n))}[mode]
 
 
+def _held(c: int, p: int) -> None:
+    """Centroids stand on the driver and in every worker, so their size is checked."""
+    if c * p > CENTROID_NUMBERS:
+        raise ValueError(f"{c} centroids of {p} numbers are too many for one level; cluster in two levels")
+
+
 def first_centroids(vectors: DataFrame, c: int, seed: int = 42) -> np.ndarray:
     """The vectors of the c records of least digest."""
     rows = vectors.orderBy(F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("rec_id").cast("string"))), "rec_id").limit(c).select("vec").collect()
+    if rows:
+        _held(c, len(rows[0][0]))
     return np.array([r[0] for r in rows])
 
 
@@ -146,24 +156,27 @@ def merge_small(vectors: DataFrame, blocks: DataFrame, k: int) -> DataFrame:
     """Blocks below k records dissolve into the nearest of the others, so every block has k."""
     sizes = blocks.groupBy("block_id").agg(F.count("*").alias("n"))
     large = sizes.where(F.col("n") >= k)
-    held = vectors.join(blocks, "rec_id")
+    held = stored(vectors.join(blocks, "rec_id"))
     means = held.join(large, "block_id").select("block_id", F.posexplode("vec").alias("j", "x")).groupBy("block_id", "j").agg(F.avg("x").alias("m")).groupBy("block_id").agg(F.array_sort(F.collect_list(F.struct("j", "m"))).alias("m")).orderBy("block_id").collect()  # c * p numbers
     if not means:
         return blocks.withColumn("block_id", F.lit(0).cast("long"))
+    _held(len(means), len(means[0][1]))
     ids = F.array(*[F.lit(r[0]).cast("long") for r in means])
     rest = held.join(large, "block_id", "left_anti").select("rec_id", "vec")
     moved = assign_nearest(rest, np.array([[x["m"] for x in r[1]] for r in means])).select("rec_id", ids[F.col("cluster")].alias("block_id"))
     return held.join(large, "block_id", "left_semi").select("rec_id", "block_id").unionByName(moved)
 
 
-def klsh_vectors(records: DataFrame, fields: list[str], k: int = 2, p: int = 150, kind: str = "sign", seed: int = 42, unit: bool = True) -> DataFrame:
-    texts = with_text(records, fields)
-    counts = shingle_counts(texts, k)
+def klsh_vectors(records: DataFrame, fields: list[str], k: int = 2, p: int = 150, kind: str = "sign", seed: int = 42, unit: bool = False) -> DataFrame:
+    """(rec_id, vec) of the records that have text."""
+    counts = stored(shingle_counts(with_text(records, fields), k))  # read for the frequencies and for the bags
     return project(weighted_terms(counts, records.count()), p, kind, seed, unit)
 
 
-def klsh_blocks(records: DataFrame, fields: list[str], k: int = 2, p: int = 150, c: int = 100, iters: int = 10, seed: int = 42, kind: str = "sign", unit: bool = True, engine: str = "own", min_block_size: int | None = None) -> DataFrame:
-    """A partition in c blocks. ``kind='none'`` clusters hashed weights without a projection."""
+def klsh_blocks(records: DataFrame, fields: list[str], k: int = 2, p: int = 150, c: int = 100, iters: int = 10, seed: int = 42, kind: str = "sign", unit: bool = False, engine: str = "own", min_block_size: int | None = None, levels: int = 1) -> DataFrame:
+    """A partition in c blocks. ``kind='none'`` clusters hashed weights without a projection.
+    A record without text is a block of its own (of a negative number); with ``min_block_size`` it has
+    the zero vector and goes to the nearest block that is large enough."""
     if kind == "none":
         from pyspark.ml.clustering import KMeans
         from pyspark.ml.feature import IDF, HashingTF
@@ -173,9 +186,15 @@ def klsh_blocks(records: DataFrame, fields: list[str], k: int = 2, p: int = 150,
         bags = HashingTF(inputCol="s", outputCol="tf", numFeatures=1 << 12).transform(with_text(records, fields).select("rec_id", char_shingles(F.col("rec_text"), k).alias("s")))
         points = IDF(inputCol="tf", outputCol="features").fit(bags).transform(bags)
         return KMeans(k=c, maxIter=iters, seed=seed).fit(points).transform(points).select("rec_id", F.col("prediction").cast("long").alias("block_id"))
-    vectors = cut(klsh_vectors(records, fields, k, p, kind, seed, unit))
-    blocks = kmeans_blocks(vectors, min(c, max(1, vectors.count())), iters, seed, engine)
-    return merge_small(vectors, cut(blocks), min_block_size) if min_block_size else blocks
+    vectors = stored(klsh_vectors(records, fields, k, p, kind, seed, unit))
+    blocks = kmeans_blocks(vectors, min(c, max(1, vectors.count())), iters, seed, engine, levels)
+    empty = records.select("rec_id").join(vectors, "rec_id", "left_anti")
+    own = F.when(F.col("rec_id") >= 0, -1 - 2 * F.col("rec_id")).otherwise(2 * F.col("rec_id"))
+    blocks = blocks.unionByName(empty.select("rec_id", own.cast("long").alias("block_id")))
+    if not min_block_size:
+        return blocks
+    zero = F.array(*[F.lit(0.0)] * p)
+    return merge_small(vectors.unionByName(empty.select("rec_id", zero.alias("vec"))), stored(blocks), min_block_size)
 
 
 def rank_by_digest(ids: DataFrame, seed: int = 42) -> DataFrame:

@@ -15,20 +15,28 @@ def choose2(n: Column) -> Column:
     return (n * (n - 1) / 2).cast("decimal(38,0)")
 
 
+def _settings(by: list[str] | None) -> list[str]:
+    """Names of columns that tell a setting; those of the results are taken."""
+    taken = {"rec_id", "entity_id", "block_id", "id_a", "id_b", "kept", "kept_true", "recall", "rr", "missed", "precision", "blocks", "max_block", "n", "all_true", "ea", "eb"}
+    if clash := taken & set(by or []):
+        raise ValueError(f"a setting can't be named {sorted(clash)}")
+    return by or []
+
+
 def block_scores(blocks: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:
     """kept, kept_true, recall and rr of ``blocks(rec_id, block_id)`` against ``truth(rec_id, entity_id)``:
     sums over block sizes, never over pairs. ``by``: columns of blocks that name a setting."""
-    by = by or []
+    by = _settings(by)
     both = blocks.join(truth.select("rec_id", "entity_id"), "rec_id")
-    cells = both.groupBy(*by, "block_id", "entity_id").agg(F.count("*").alias("c"))
-    per_block = cells.groupBy(*by, "block_id").agg(F.sum("c").alias("__size"), F.sum(choose2(F.col("c"))).alias("__true"))
+    cells = both.groupBy(*by, "block_id", "entity_id").agg(F.count("*").alias("__c"))
+    per_block = cells.groupBy(*by, "block_id").agg(F.sum("__c").alias("__size"), F.sum(choose2(F.col("__c"))).alias("__true"))
     kept = per_block.groupBy(*by).agg(F.sum(choose2(F.col("__size"))).alias("kept"), F.sum("__true").alias("kept_true"), F.count("*").alias("blocks"), F.max("__size").alias("max_block"))
     return rates(kept, truth)
 
 
 def pair_scores(pairs: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:
     """The same of distinct ``pairs(id_a, id_b)``."""
-    by = by or []
+    by = _settings(by)
     a, b = truth.select(F.col("rec_id").alias("id_a"), F.col("entity_id").alias("ea")), truth.select(F.col("rec_id").alias("id_b"), F.col("entity_id").alias("eb"))
     kept = pairs.join(a, "id_a").join(b, "id_b").groupBy(*by).agg(F.count("*").cast("decimal(38,0)").alias("kept"), F.sum(F.when(F.col("ea") == F.col("eb"), 1).otherwise(0)).cast("decimal(38,0)").alias("kept_true"))
     return rates(kept, truth)
@@ -72,17 +80,22 @@ def bucket_stats(keys: DataFrame) -> DataFrame:
     return keys.groupBy("band", "key").agg(F.count("*").alias("v")).groupBy("band").agg(F.count("*").alias("buckets"), F.max("v").alias("max_v"), F.sum(F.col("v") * F.col("v")).alias("sum_v2"))
 
 
-def predicted_cost(method: str, n: float, p: int = 100, b: int = 22, buckets: float = 1e9, beta: float = 0.5, rounds: int = 10, c: float | None = None) -> float:
-    """Steps that the growth formulas give for a method."""
+def predicted_cost(method: str, n: float, p: int = 100, b: int = 22, buckets: float = 1e9, beta: float = 0.5, rounds: int = 10, c: float | None = None, files: int = 2) -> float:
+    """Steps that the growth formulas give for a method over n records; ``files``: how many files
+    every combination of records is taken from when nothing is blocked."""
     c = math.sqrt(n) if c is None else c
-    return {
-        "tlsh": n + n * p + n * b + n * n / buckets + n * math.log(n) ** 2,
-        "klsh": n * p * n**beta + c * n * p * rounds,
-        "traditional": n,
-        "traditional_pairs": n * n,
-        "tnn": n * n,
-        "none": n * n,
-    }[method]
+    return float(
+        {
+            "tlsh": n + n * p + n * b + n * n / buckets + n * math.log(n) ** 2,
+            "klsh": n * p * n**beta + c * n * p * rounds,
+            "traditional": n,
+            "traditional_pairs": n * n,
+            "tnn": n * n,
+            "canopies": n * c,
+            "blocked": c * (n / c) ** files,
+            "none": float(n) ** files,
+        }[method]
+    )
 
 
 def timed(frame: DataFrame) -> float:

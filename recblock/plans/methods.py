@@ -3,6 +3,8 @@ and the given tables. SQL states each result anew, mostly over all pairs."""
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -157,7 +159,10 @@ def tlsh_raw_recall_rr(spark, sf_dir):
     return metrics.pair_scores(out, r, ["k", "b"]).select("k", "b", "recall", "rr")
 
 
-@query("lsh_neighbors_persons")
+@query("lsh_neighbors_persons", f"""WITH e AS MATERIALIZED ({_edges_sql('clean500', 5, 22)}), b AS (SELECT id_a, id_b FROM e UNION ALL SELECT id_b, id_a FROM e), t AS MATERIALIZED (SELECT DISTINCT rec_id, term FROM ({_terms_sql('clean500', 5)})),
+n AS (SELECT rec_id, count(*) AS n FROM t GROUP BY rec_id), j AS (SELECT id_a, id_b, count(y.term) AS k FROM b JOIN t x ON x.rec_id = id_a LEFT JOIN t y ON y.rec_id = id_b AND y.term = x.term GROUP BY ALL),
+r AS (SELECT id_a, id_b, round(k / (p.n + q.n - k), 6) AS jaccard FROM j JOIN n p ON p.rec_id = id_a JOIN n q ON q.rec_id = id_b)
+SELECT id_a, id_b, jaccard, CAST(rank AS INT) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY id_a ORDER BY jaccard DESC, id_b) AS rank FROM r) WHERE rank <= 3""")
 def lsh_neighbors_persons(spark, sf_dir):
     return minhash.lsh_neighbors(_texts(spark, sf_dir, "clean500")[1], 3)
 
@@ -199,8 +204,11 @@ def hottest_buckets(spark, sf_dir):
     return keys.groupBy("band", "key").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "band", "key").limit(10)
 
 
-@query("jaccard_truth_documents", f"""WITH t AS MATERIALIZED (SELECT DISTINCT rec_id, term FROM ({_terms_sql('documents', 5)})), n AS (SELECT rec_id, count(*) AS n FROM t GROUP BY rec_id),
-c AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b, count(*) AS k FROM t a JOIN t b ON a.term = b.term AND a.rec_id < b.rec_id GROUP BY ALL)
+_jaccard_cte = f"""t AS MATERIALIZED (SELECT DISTINCT rec_id, term FROM ({_terms_sql('documents', 5)})), n AS (SELECT rec_id, count(*) AS n FROM t GROUP BY rec_id),
+c AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b, count(*) AS k FROM t a JOIN t b ON a.term = b.term AND a.rec_id < b.rec_id GROUP BY ALL)"""
+
+
+@query("jaccard_truth_documents", f"""WITH {_jaccard_cte}
 SELECT id_a, id_b, round(k / (x.n + y.n - k), 6) AS jaccard FROM c JOIN n x ON x.rec_id = id_a JOIN n y ON y.rec_id = id_b WHERE k / (x.n + y.n - k) >= 0.5""")
 def jaccard_truth_documents(spark, sf_dir):
     """Exact similarity of at least one half among the documents."""
@@ -266,7 +274,13 @@ def klsh_dispersion(spark, sf_dir):
 
 # cluster-based baselines
 
-@query("tnn_blocks_persons")
+_near_cte = lambda t: f"""w AS MATERIALIZED (SELECT rec_id, term, w FROM ({_w_sql('clean500', 2)}) WHERE w > 0), q AS (SELECT rec_id, sqrt(sum(w * w)) AS norm FROM w GROUP BY rec_id),
+u AS MATERIALIZED (SELECT w.rec_id, term, w / norm AS w FROM w JOIN q ON q.rec_id = w.rec_id), near AS MATERIALIZED (SELECT * FROM (SELECT a.rec_id AS id_a, b.rec_id AS id_b, sqrt(greatest(0, round(2 - 2 * sum(a.w * b.w), 9))) AS distance FROM u a JOIN u b ON a.term = b.term AND a.rec_id < b.rec_id GROUP BY ALL) WHERE distance <= {t})"""
+
+
+@query("tnn_blocks_persons", f"""WITH RECURSIVE {_near_cte(0.9)}, e AS (SELECT id_a AS s, id_b AS d FROM near UNION ALL SELECT id_b, id_a FROM near),
+reach AS (SELECT rec_id, rec_id AS c FROM ({file_sql('duckdb', 'clean500')}) UNION SELECT e.d, reach.c FROM reach JOIN e ON e.s = reach.rec_id)
+SELECT rec_id, min(c) AS block_id FROM reach GROUP BY rec_id""")
 def tnn_blocks_persons(spark, sf_dir):
     r, t = _texts(spark, sf_dir, "clean500")
     return X.tnn_blocks(r, X.epsilon_pairs(t, 0.9))
@@ -289,7 +303,13 @@ def sorted_tnn(spark, sf_dir):
     return X.sorted_tnn_blocks(_texts(spark, sf_dir, "clean10k")[1], 8)
 
 
-@query("sorted_tnn_sweep")
+_block_rates_sql = lambda file, blocks, label: f"""SELECT {label}, round(sum(tr) / (SELECT sum(c * (c - 1) / 2) FROM (SELECT count(*)::DOUBLE AS c FROM ({file_sql('duckdb', file)}) GROUP BY entity_id)), 6) AS recall,
+round(1 - sum(s * (s - 1) / 2) / (SELECT count(*)::DOUBLE * (count(*) - 1) / 2 FROM ({file_sql('duckdb', file)})), 6) AS rr, count(*) AS blocks, CAST(max(s) AS BIGINT) AS max_block
+FROM (SELECT block_id, sum(c)::DOUBLE AS s, sum(c * (c - 1) / 2)::DOUBLE AS tr FROM (SELECT block_id, entity_id, count(*) AS c FROM ({blocks}) GROUP BY ALL) GROUP BY block_id)"""
+_sorted_sql = lambda file, t: f"SELECT rec_id, entity_id, sum(n) OVER (ORDER BY rec_text, rec_id ROWS UNBOUNDED PRECEDING) AS block_id FROM (SELECT rec_id, entity_id, rec_text, CASE WHEN lag(rec_text) OVER w IS NULL OR levenshtein(rec_text, lag(rec_text) OVER w) > {t} THEN 1 ELSE 0 END AS n FROM ({_text_sql(file)}) WINDOW w AS (ORDER BY rec_text, rec_id))"
+
+
+@query("sorted_tnn_sweep", " UNION ALL ".join(_block_rates_sql("clean10k", _sorted_sql("clean10k", t), f"{t} AS t") for t in (2, 6, 10, 14, 18)))
 def sorted_tnn_sweep(spark, sf_dir):
     r, t = _texts(spark, sf_dir, "clean10k")
     out = None
@@ -311,17 +331,25 @@ def _cover(spark, sf_dir, t1=1.1, t2=0.9):
     return r, X.canopies(r.select("rec_id"), cut(X.epsilon_pairs(t, t1)), t1, t2)
 
 
-@query("canopy_cover")
+# Bases in SQL: one record after the other in the order of digests, with the list of bases so far.
+_bases_cte = f"""{_near_cte(1.1)}, o AS MATERIALIZED (SELECT rec_id, row_number() OVER (ORDER BY md5('42|' || rec_id)) AS i FROM ({file_sql('duckdb', 'clean500')})),
+nb AS MATERIALIZED (SELECT o.i, o.rec_id, list(x.d) FILTER (WHERE x.d IS NOT NULL) AS near_ones FROM o LEFT JOIN (SELECT id_a AS s, id_b AS d FROM near WHERE distance <= 0.9 UNION ALL SELECT id_b, id_a FROM near WHERE distance <= 0.9) x ON x.s = o.rec_id GROUP BY ALL),
+step AS (SELECT CAST(0 AS BIGINT) AS i, CAST([] AS BIGINT[]) AS chosen UNION ALL SELECT nb.i, CASE WHEN list_has_any(chosen, coalesce(near_ones, [])) THEN chosen ELSE list_append(chosen, nb.rec_id) END FROM step JOIN nb ON nb.i = step.i + 1),
+bases AS (SELECT unnest(chosen) AS base FROM step WHERE i = (SELECT max(i) FROM o)),
+cover AS (SELECT base AS rec_id, base AS canopy_id FROM bases UNION SELECT id_b, id_a FROM near JOIN bases ON base = id_a UNION SELECT id_a, id_b FROM near JOIN bases ON base = id_b)"""
+
+
+@query("canopy_cover", f"WITH RECURSIVE {_bases_cte} SELECT rec_id, canopy_id FROM cover")
 def canopy_cover(spark, sf_dir):
     return _cover(spark, sf_dir)[1]
 
 
-@query("canopy_bases")
+@query("canopy_bases", f"WITH RECURSIVE {_bases_cte} SELECT base FROM bases")
 def canopy_bases(spark, sf_dir):
     return _cover(spark, sf_dir)[1].select(F.col("canopy_id").alias("base")).distinct()
 
 
-@query("canopy_atoms")
+@query("canopy_atoms", f"WITH RECURSIVE {_bases_cte} SELECT rec_id, array_to_string(list_sort(list(canopy_id)), ',') AS block_id FROM cover GROUP BY rec_id")
 def canopy_atoms(spark, sf_dir):
     return X.canopy_blocks(_cover(spark, sf_dir)[1], "atoms")
 
@@ -337,10 +365,17 @@ def canopy_sweep(spark, sf_dir):
     return metrics.pair_scores(out, r, ["t1", "t2"]).select("t1", "t2", "recall", "rr")
 
 
-@query("reference_blocks_persons")
+_letters = "aceghikmnoprstuvwz"
+
+
+@query("reference_blocks_persons", f"""WITH RECURSIVE refs AS (SELECT unnest(string_split('{','.join(_letters)}', ',')) AS ref), n AS MATERIALIZED (SELECT rec_id, coalesce((SELECT max(ref) FROM refs WHERE ref <= last_name), '') AS ref FROM ({file_sql('duckdb', 'clean10k')})),
+s AS MATERIALIZED (SELECT ref, c, row_number() OVER (ORDER BY ref) AS i FROM (SELECT ref, count(*) AS c FROM n GROUP BY ref)),
+g AS (SELECT CAST(0 AS BIGINT) AS i, CAST('' AS VARCHAR) AS ref, CAST(-1 AS BIGINT) AS own, CAST(0 AS BIGINT) AS grp, CAST(0 AS BIGINT) AS held UNION ALL SELECT s.i, s.ref, g.grp, CASE WHEN g.held + s.c >= 500 THEN g.grp + 1 ELSE g.grp END, CASE WHEN g.held + s.c >= 500 THEN 0 ELSE g.held + s.c END FROM g JOIN s ON s.i = g.i + 1),
+z AS (SELECT arg_max(grp, i) AS last_grp, arg_max(held, i) AS last_held FROM g)
+SELECT n.rec_id, n.ref, CASE WHEN last_held > 0 AND last_grp > 0 THEN least(own, last_grp - 1) ELSE own END AS block_id FROM n JOIN g ON g.ref = n.ref AND g.i > 0, z""")
 def reference_blocks_persons(spark, sf_dir):
     r = persons(spark, sf_dir, "clean10k")
-    refs = spark.createDataFrame([(c,) for c in "aceghikmnoprstuvwz"], "last_name string")
+    refs = spark.createDataFrame([(c,) for c in _letters], "last_name string")
     return X.reference_blocks(cut(r), refs, "last_name", 500)
 
 
@@ -361,13 +396,16 @@ def vocab_growth_documents(spark, sf_dir):
     return shingle.vocabulary_growth(_document_texts(spark, sf_dir), 3, [50, 100, 200, 400, 800])
 
 
-@query("vocab_growth_whole_documents", f"WITH r AS (SELECT doc_id AS rec_id, row_number() OVER (ORDER BY doc_id) AS p FROM documents), t AS (SELECT term, min(p) AS f FROM ({_terms_sql('documents', 3)}) JOIN r USING (rec_id) GROUP BY term), v AS (SELECT DISTINCT n FROM (SELECT CAST(ceil(count(*) / d) AS BIGINT) AS n FROM r, (VALUES (16), (8), (4), (2), (1)) AS s(d) GROUP BY d)) SELECT n, count(*) AS w_n FROM t JOIN v ON f <= n GROUP BY n")
+_growth_sql = f"WITH r AS (SELECT doc_id AS rec_id, row_number() OVER (ORDER BY doc_id) AS p FROM documents), t AS (SELECT term, min(p) AS f FROM ({_terms_sql('documents', 3)}) JOIN r USING (rec_id) GROUP BY term), v AS (SELECT DISTINCT n FROM (SELECT CAST(ceil(count(*) / d) AS BIGINT) AS n FROM r, (VALUES (16), (8), (4), (2), (1)) AS s(d) GROUP BY d)) SELECT n, count(*) AS w_n FROM t JOIN v ON f <= n GROUP BY n"
+
+
+@query("vocab_growth_whole_documents", _growth_sql)
 def vocab_growth_whole_documents(spark, sf_dir):
     """Growth to the whole table; ``vocab_growth_documents`` has the ids below 800 of its SQL."""
     return shingle.vocabulary_growth_whole(_document_texts(spark, sf_dir), 3)
 
 
-@query("vocab_growth_fit")
+@query("vocab_growth_fit", f"SELECT round(regr_slope(ln(w_n), ln(n)), 6) AS beta FROM ({_growth_sql})")
 def vocab_growth_fit(spark, sf_dir):
     return shingle.growth_exponent(vocab_growth_whole_documents(spark, sf_dir))
 
@@ -388,9 +426,21 @@ def method_comparison(spark, sf_dir):
     return metrics.block_scores(out, r, ["method"]).select("method", "recall", "rr", "blocks", "max_block")
 
 
-@query("dominated_settings")
+_rated_sql = " UNION ALL ".join(f"SELECT '{k}' AS method, recall, rr FROM ({_rates_sql(c.keep_sql(), 'clean10k')})" for k, c in _counted.items())
+
+
+@query("dominated_settings", f"WITH s AS MATERIALIZED ({_rated_sql}) SELECT a.method AS better, b.method AS worse FROM s a JOIN s b ON a.recall >= b.recall AND a.rr >= b.rr AND (a.recall > b.recall OR a.rr > b.rr)")
 def dominated_settings(spark, sf_dir):
-    return metrics.dominated(cut(method_comparison(spark, sf_dir)))
+    """Which criteria on the clean file are no better than another in recall and in reduction."""
+    r = cut(D.derive(persons(spark, sf_dir, "clean10k")))
+    return metrics.dominated(cut(metrics.rates(D.criterion_counts(r, _counted), r).withColumnRenamed("rule", "method")))
+
+
+@query("best_setting", f"SELECT method, recall, rr FROM ({_rated_sql}) WHERE rr >= 0.98 ORDER BY recall DESC, rr DESC, method LIMIT 1")
+def best_setting(spark, sf_dir):
+    """The criterion of highest recall among those that leave out 98 percent of the pairs."""
+    r = cut(D.derive(persons(spark, sf_dir, "clean10k")))
+    return metrics.best_setting(metrics.rates(D.criterion_counts(r, _counted), r).withColumnRenamed("rule", "method").select("method", "recall", "rr"), 0.98)
 
 
 @query("tlsh_grid_persons")
@@ -415,9 +465,9 @@ def klsh_grid_persons(spark, sf_dir):
     for k, p in ((1, 100), (2, 100), (2, 150), (3, 100), (4, 100)):
         v = cut(klsh.klsh_vectors(r, CLEAN_FIELDS, k, p))
         for c in (10, 25, 100):
-            part = klsh.kmeans_blocks(v, c, 5).select("rec_id", "block_id", F.lit(k).alias("k"), F.lit(p).alias("p"), F.lit(c).alias("c"))
+            part = klsh.kmeans_blocks(v, c, 5).select("rec_id", "block_id", F.lit(k).alias("k"), F.lit(p).alias("p"), F.lit(c).alias("cells"))
             out = part if out is None else out.unionByName(part)
-    return metrics.block_scores(out, r, ["k", "p", "c"]).select("k", "p", "c", "recall", "rr", "max_block")
+    return metrics.block_scores(out, r, ["k", "p", "cells"]).select("k", "p", "cells", "recall", "rr", "max_block")
 
 
 @query("cross_file_pairs_persons", f"SELECT a.rec_id AS id_a, b.rec_id AS id_b FROM ({file_sql('duckdb', 'clean10k')}) a JOIN ({file_sql('duckdb', 'clean10k')}) b ON a.birth_year = b.birth_year AND a.birth_month = b.birth_month AND a.birth_day = b.birth_day AND a.rec_id < 9000 AND b.rec_id >= 9000")
@@ -445,13 +495,17 @@ def link_persons(spark, sf_dir):
     return linkage.link_pairs(D.criterion_pairs(r, D.CLEAN["t1_10"]), r, _weights, ("first_name", "last_name"), 0.8)
 
 
-@query("deduplicate_persons")
+@query("deduplicate_persons", f"""WITH RECURSIVE l AS MATERIALIZED ({_links_sql}), e AS (SELECT id_a AS s, id_b AS d FROM l UNION ALL SELECT id_b, id_a FROM l),
+reach AS (SELECT DISTINCT s AS rec_id, s AS c FROM e UNION SELECT e.d, reach.c FROM reach JOIN e ON e.s = reach.rec_id), m AS (SELECT rec_id, min(c) AS first FROM reach GROUP BY rec_id)
+SELECT rec_id, entity_id FROM ({file_sql('duckdb', 'clean10k')}) LEFT JOIN m USING (rec_id) WHERE first IS NULL OR first = rec_id""")
 def deduplicate_persons(spark, sf_dir):
     r = cut(persons(spark, sf_dir, "clean10k"))
     return linkage.deduplicate(r, linkage.entities(link_persons(spark, sf_dir), r)).select("rec_id", "entity_id")
 
 
-@query("private_link_persons")
+@query("private_link_persons", f"""WITH r AS ({file_sql('duckdb', 'clean500')}), t AS MATERIALIZED (SELECT DISTINCT rec_id, term FROM ({_terms_sql('clean500', 2)})), n AS (SELECT rec_id, count(*) AS n FROM t GROUP BY rec_id),
+p AS (SELECT a.rec_id AS id_a, b.rec_id AS id_b FROM r a JOIN r b ON a.birth_month = b.birth_month AND a.rec_id < b.rec_id), k AS (SELECT id_a, id_b, count(*) AS k FROM p JOIN t x ON x.rec_id = id_a JOIN t y ON y.rec_id = id_b AND y.term = x.term GROUP BY ALL)
+SELECT id_a, id_b, round(2 * k / (x.n + y.n), 6) AS dice FROM k JOIN n x ON x.rec_id = id_a JOIN n y ON y.rec_id = id_b WHERE round(2 * k / (x.n + y.n), 6) >= 0.7""")
 def private_link_persons(spark, sf_dir):
     r, t = _texts(spark, sf_dir, "clean500")
     hashed = t.select("rec_id", linkage.salted_shingles(F.col("rec_text"), 2, "a secret").alias("s"))
@@ -464,38 +518,52 @@ def benchmark_containment(spark, sf_dir):
     return contained(b, spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
 
 
-def contained(b: DataFrame, d: DataFrame) -> DataFrame:
+def contained(b: DataFrame, d: DataFrame, chunk: int = 10_000) -> DataFrame:
     """Passages that stand in a document, found by their first inner words, eight or as many as
-    they have, then checked. Passages of one or two words have no inner word and are checked everywhere."""
+    they have, then checked. Passages of one or two words have no inner word and are checked
+    everywhere, ``chunk`` of them at a time. Nulls are nowhere."""
     bag = shingle.word_bag(F.col("passage"))
     inner = F.greatest(F.coalesce(F.size(bag), F.lit(0)) - 2, F.lit(0))
-    probe = cut(b.withColumn("n", F.least(inner, F.lit(8))).withColumn("s", F.array_join(F.slice(bag, F.lit(2), F.col("n")), " ")))
+    probe = stored(b.where("passage is not null").withColumn("n", F.least(inner, F.lit(8))).withColumn("s", F.array_join(F.slice(bag, F.lit(2), F.col("n")), " ")))
     out = None
-    for n in sorted(r[0] for r in probe.select("n").distinct().collect()) or [8]:  # nine sizes at most
+    sizes = sorted(map(tuple, probe.groupBy("n").count().collect())) or [(8, 0)]  # nine at most
+    for n, count in sizes:
         own = probe.where(F.col("n") == n)
         if n:
-            found = d.select("doc_id", F.explode(F.array_distinct(shingle.word_shingles(F.col("text"), n))).alias("s")).join(F.broadcast(own.select("item_id", "s")), "s").select("item_id", "doc_id")
-            part = found.join(d, "doc_id").join(F.broadcast(own.select("item_id", "passage")), "item_id").where(F.expr("contains(text, passage)"))
+            found = d.select("doc_id", F.explode(F.array_distinct(shingle.word_shingles(F.col("text"), n))).alias("s")).join(own.select("item_id", "s"), "s").select("item_id", "doc_id")
+            parts = [found.join(d, "doc_id").join(own.select("item_id", "passage"), "item_id").where(F.expr("contains(text, passage)"))]
         else:
-            part = d.join(F.broadcast(own.select("item_id", "passage")), F.expr("contains(text, passage)"))
-        part = part.select("item_id", "doc_id").distinct()
-        out = part if out is None else out.unionByName(part)
-    return out
+            turns = -(-count // chunk)
+            turn = F.pmod(F.xxhash64("item_id", "passage"), F.lit(turns))
+            parts = [d.join(F.broadcast(own.where(turn == i).select("item_id", "passage")), F.expr("contains(text, passage)")) for i in range(turns)]
+        for part in parts:
+            part = part.select("item_id", "doc_id").distinct()
+            out = part if out is None else out.unionByName(part)
+    return out.distinct()
 
 
-@query("label_strata_recall")
+@query("label_strata_recall", f"""WITH {_jaccard_cte}, j AS (SELECT id_a, id_b FROM c JOIN n x ON x.rec_id = id_a JOIN n y ON y.rec_id = id_b WHERE k / (x.n + y.n - k) >= 0.5), e AS ({_edges_sql('documents', 5, 22)}),
+p AS (SELECT DISTINCT quality, j.id_a, j.id_b, e.id_a IS NOT NULL AS hit FROM j JOIN labels ON doc_id IN (j.id_a, j.id_b) LEFT JOIN e ON e.id_a = j.id_a AND e.id_b = j.id_b)
+SELECT quality, count(*) AS pairs, round(avg(hit::INT), 6) AS recall FROM p GROUP BY quality""")
 def label_strata_recall(spark, sf_dir):
-    """Share of near-equal labelled document pairs that blocking keeps, by quality label."""
-    truth = jaccard_truth_documents(spark, sf_dir)
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select(F.col("doc_id").alias("id_a"), "quality")
+    """Share of near-equal document pairs that blocking keeps, by quality label: a pair counts once
+    for each label that one of its documents bears."""
+    truth = cut(jaccard_truth_documents(spark, sf_dir).select("id_a", "id_b"))
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality")
+    sides = truth.withColumn("doc_id", F.explode(F.array("id_a", "id_b")))
     kept = cut(lsh_pairs_documents(spark, sf_dir).select("id_a", "id_b", F.lit(1).alias("hit")))
-    return truth.join(labels, "id_a").join(kept, ["id_a", "id_b"], "left").groupBy("quality").agg(F.count("*").alias("pairs"), F.round(F.avg(F.coalesce("hit", F.lit(0))), 6).alias("recall"))
+    pairs = sides.join(labels, "doc_id").select("quality", "id_a", "id_b").distinct()
+    return pairs.join(kept, ["id_a", "id_b"], "left").groupBy("quality").agg(F.count("*").alias("pairs"), F.round(F.avg(F.coalesce("hit", F.lit(0))), 6).alias("recall"))
+
+
+_costs = {"tlsh": "n + n * 100 + n * 22 + n * n / 1e9 + n * power(ln(n), 2)", "klsh": "n * 100 * sqrt(n) + sqrt(n) * n * 100 * 10", "traditional": "n", "traditional_pairs": "n * n", "tnn": "n * n", "canopies": "n * sqrt(n)", "blocked": "sqrt(n) * power(n / sqrt(n), 2)", "none": "power(n, 2)"}
 
 
-@query("predicted_costs")
+@query("predicted_costs", " UNION ALL ".join(f"SELECT '{m}' AS method, CAST(n AS BIGINT) AS n, round(log10({f}), 6) AS log10_cost FROM (VALUES (500.0::DOUBLE), (10000.0::DOUBLE), (1000000.0::DOUBLE)) AS v(n)" for m, f in _costs.items()))
 def predicted_costs(spark, sf_dir):
-    rows = [(m, n, metrics.predicted_cost(m, n)) for m in ("tlsh", "klsh", "traditional", "traditional_pairs", "tnn", "none") for n in (500, 10_000, 1_000_000)]
-    return spark.createDataFrame(rows, "method string, n long, cost double")
+    """Steps of the growth formulas, as logarithms; ``none`` takes every pair of two files."""
+    rows = [(m, n, math.log10(metrics.predicted_cost(m, n))) for m in _costs for n in (500, 10_000, 1_000_000)]
+    return spark.createDataFrame(rows, "method string, n long, log10_cost double").withColumn("log10_cost", F.round("log10_cost", 6))
 
 
 @query("band_curve_values", " UNION ALL ".join(f"SELECT {b} AS b, {s}::DOUBLE AS s, round(1 - " + " * ".join(f"power(1 - power({s}::DOUBLE, {r}), {minhash.band_sizes(100, b).count(r)})" for r in sorted(set(minhash.band_sizes(100, b)))) + ", 6) AS chance" for b in (21, 22, 26) for s in (0.3, 0.5, 0.7, 0.9)))
