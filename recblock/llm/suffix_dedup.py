@@ -6,21 +6,22 @@ before and after) can hold equal strings, and contexts stand aligned at the anch
 of an anchor are one collection, whose Burrows-Wheeler order is built column by column from
 the right: each round inserts one symbol of every context, sorts stably by it, and carries the
 common prefix of neighbours on (one more than the least of those between them). A context's
-string at a column is repeated if a neighbour shares ``length`` symbols with it. Only the
-order and the prefixes of the last column are held; the symbols lie in one file per collection,
-column after column, which is read once, front to back, and goes to disk when it is large.
+string at a column is repeated if a neighbour shares ``length`` symbols with it. Of the order
+and the prefixes only the last column's are held; the symbols lie column after column and are
+read once, front to back. A collection of very many contexts is parted by what stands beside
+the anchor, so that its columns fit a task.
 
 Anchors that stand once are dropped; contexts that are all equal need no construction; equal
 contexts of one anchor go through it once.
 
-A null text is empty. Strings are judged on the input; matches never cross documents; places
-in one document count as well. Repeated rows of an id are taken as documents of their own only
-if ids differ (ids are taken as unique). An empty table gives no rows."""
+Every row gets a number of its own before the first stage, so ids are only carried along: they
+may be null, repeat, or be of any type, and each row is a document of its own. A null text is
+empty. Strings are judged on the input; matches never cross documents; places in one document
+count as well. An empty table gives no rows."""
 
 from __future__ import annotations
 
 import hashlib
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,11 +31,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from recblock.llm import textkernel as K
-from recblock.llm.minhash_join import packed_texts
 from recblock.session import stored
 
 LENGTH, GRAM = 200, 64
-GROUP, IN_MEMORY = 20_000, 64 << 20
+GROUP, LARGE = 20_000, 100_000  # contexts that are built together, and of a collection that is parted first
+FREQUENT = 1024  # a context at more than this part of all places is known to every task
 _PLACE = np.uint64((1 << 28) - 1)
 
 
@@ -84,19 +85,43 @@ def _text_anchors(data: np.ndarray, offs: np.ndarray, length: int) -> tuple[np.n
     return np.zeros(len(at), np.int64), at, np.concatenate(h), np.concatenate(c)
 
 
-def anchor_rows(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """h, c, doc_id and place of all anchors. place: where the anchor stands, times 256, and by
-    how much the text's end shortens the context."""
+def numbered_texts(docs: DataFrame) -> DataFrame:
+    """(row, doc_id, z): the compressed texts under numbers that are fixed by being written once."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tight = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
-            for a, _, data, offs in K.chunks(batch.column(1)):
-                doc, at, h, c = _text_anchors(data, offs, length)
-                short = np.maximum(at + length - np.diff(offs)[doc], 0)
-                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(c), pa.array(ids[a + doc].astype(np.int64)), pa.array(at * 256 + short)], ["h", "c", "doc_id", "place"])
+            data, offs = K.buffers(batch.column(2))
+            raw = memoryview(data)
+            z = [tight.compress(raw[x:y]) for x, y in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], ["row", "doc_id", "z"])
+
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.col("text").cast("string").alias("text"))
+    return stored(rows.mapInArrow(run, f"row long, doc_id {kind}, z binary"))
+
+
+def anchor_rows(texts: DataFrame, length: int = LENGTH) -> DataFrame:
+    """h, c, row and place of all anchors of ``texts(row, z)``. place: where the anchor stands, times
+    256, and by how much the text's end shortens the context."""
 
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, "h long, c long, doc_id long, place long")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        un = zstandard.ZstdDecompressor()
+        for batch in batches:
+            rows, z = batch.column(0).to_numpy(), batch.column(1)
+            at = 0
+            while at < len(rows):  # about a megabyte of texts at a time
+                own, size = [], 0
+                while at + len(own) < len(rows) and (not own or size < K.CHUNK):
+                    own.append(un.decompress(z[at + len(own)].as_py()))
+                    size += len(own[-1])
+                data, offs = np.frombuffer(b"".join(own), np.uint8), np.append(0, np.cumsum([len(x) for x in own])).astype(np.int64)
+                doc, place, h, c = _text_anchors(data, offs, length)
+                short = np.maximum(place + length - np.diff(offs)[doc], 0)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(c), pa.array(rows[at + doc]), pa.array(place * 256 + short)], ["h", "c", "row", "place"])
+                at += len(own)
+
+    return texts.select("row", "z").mapInArrow(run, "h long, c long, row long, place long")
 
 
 def repeated_columns(columns: np.ndarray, left: np.ndarray, right: np.ndarray, group: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
@@ -139,16 +164,11 @@ def repeated_columns(columns: np.ndarray, left: np.ndarray, right: np.ndarray, g
 
 
 def _columns(contexts: list[bytes], left: np.ndarray, length: int, gram: int) -> np.ndarray:
-    """The contexts' symbols, column after column, aligned at the anchor; a file if they are many."""
+    """The contexts' symbols, column after column, aligned at the anchor."""
     reach = length - gram
-    shape = (reach + length, len(contexts))
-    if shape[0] * shape[1] <= IN_MEMORY:
-        out = np.zeros(shape, np.uint8)
-    else:
-        with tempfile.TemporaryFile() as f:  # mapped; it goes with the array
-            out = np.memmap(f, np.uint8, "w+", shape=shape)
+    out = np.zeros((reach + length, len(contexts)), np.uint8)
     for k in range(0, len(contexts), 4096):
-        rows = np.zeros((min(4096, len(contexts) - k), shape[0]), np.uint8)
+        rows = np.zeros((min(4096, len(contexts) - k), len(out)), np.uint8)
         for i, x in enumerate(contexts[k : k + 4096]):
             s = reach - left[k + i]
             rows[i, s : s + len(x)] = np.frombuffer(x, np.uint8)
@@ -157,81 +177,98 @@ def _columns(contexts: list[bytes], left: np.ndarray, length: int, gram: int) ->
 
 
 def repeated_contexts(contexts: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """``contexts(h, c, x, left)``, sorted by h in each partition, to (h, c, lo, hi): the bytes,
-    counted from the anchor, that repeated strings of the context cover."""
+    """``contexts(g, h, c, x, left)``, sorted by the collection g in each partition, to (h, c, lo, hi):
+    the bytes, counted from the anchor, that repeated strings of the context cover."""
     reach = length - gram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hs, cs, xs, lefts = [], [], [], []
+        rows: list[tuple] = []
 
         def done() -> pa.RecordBatch:
+            gs, hs, cs, xs, lefts = zip(*rows, strict=True)
             left = np.array(lefts)
             right = np.array([len(x) for x in xs]) - left
             h, c = np.array(hs, np.int64), np.array(cs, np.int64)
-            low, high = repeated_columns(_columns(xs, left, length, gram), left, right, h, length, gram)
+            low, high = repeated_columns(_columns(xs, left, length, gram), left, right, np.array(gs, np.int64), length, gram)
             hit = np.flatnonzero(low >= 0)
             return pa.RecordBatch.from_arrays([pa.array(h[hit]), pa.array(c[hit]), pa.array((low[hit] - reach).astype(np.int32)), pa.array((high[hit] - reach + length).astype(np.int32))], ["h", "c", "lo", "hi"])
 
         for batch in batches:
-            for h, c, x, left in zip(*(batch.column(k).to_pylist() for k in ("h", "c", "x", "left")), strict=True):
-                if len(hs) >= GROUP and h != hs[-1]:
+            for row in zip(*(batch.column(k).to_pylist() for k in ("g", "h", "c", "x", "left")), strict=True):
+                if len(rows) >= GROUP and row[0] != rows[-1][0]:
                     yield done()
-                    hs, cs, xs, lefts = [], [], [], []
-                hs.append(h)
-                cs.append(c)
-                xs.append(x)
-                lefts.append(left)
-        if hs:
+                    rows = []
+                rows.append(row)
+        if rows:
             yield done()
 
-    return contexts.mapInArrow(run, "h long, c long, lo int, hi int")
+    return contexts.select("g", "h", "c", "x", "left").mapInArrow(run, "h long, c long, lo int, hi int")
 
 
 def _cut_contexts(texts: DataFrame, length: int, gram: int) -> DataFrame:
-    """``texts(z, wanted array<struct<h, c, place>>)`` to contexts."""
+    """``texts(z, wanted array<struct<h, c, place, large>>)`` to contexts. Those of a large collection
+    go into smaller ones: a repeated string holds half of its bytes beside the gram on one side at
+    least, so it is found among contexts that are alike on that side."""
     reach = length - gram
+    side = -(-reach // 2)
+    names = ["g", "h", "c", "x", "left"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         un = zstandard.ZstdDecompressor()
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32()]
         for batch in batches:
-            out: list[list] = [[], [], [], []]
+            out: list[list] = [[], [], [], [], []]
             for z, wanted in zip(batch.column("z"), batch.column("wanted"), strict=True):
                 text = un.decompress(z.as_py())
                 for w in wanted.as_py():
                     at, short = divmod(w["place"], 256)
                     left = min(reach, at)
-                    for column, value in zip(out, (w["h"], w["c"], text[at - left : at + length - short], left), strict=True):
-                        column.append(value)
+                    x = text[at - left : at + length - short]
+                    collections = [w["h"]]
+                    if w["large"]:
+                        parts = [x[left - side : left] if left >= side else None, x[left + gram : left + gram + side] if len(x) >= left + gram + side else None]
+                        collections = [int.from_bytes(hashlib.blake2b(b"%d|%d|" % (w["h"], k) + p, digest_size=8).digest(), "little", signed=True) for k, p in enumerate(parts) if p is not None]
+                    for g in collections:
+                        for column, value in zip(out, (g, w["h"], w["c"], x, left), strict=True):
+                            column.append(value)
                 if len(out[0]) >= 20_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int32())], ["h", "c", "x", "left"])
-                    out = [[], [], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int32())], ["h", "c", "x", "left"])
+                    yield pa.RecordBatch.from_arrays([pa.array(o, k) for o, k in zip(out, kinds, strict=True)], names)
+                    out = [[], [], [], [], []]
+            yield pa.RecordBatch.from_arrays([pa.array(o, k) for o, k in zip(out, kinds, strict=True)], names)
 
-    return texts.select("z", "wanted").mapInArrow(run, "h long, c long, x binary, left int")
+    return texts.select("z", "wanted").mapInArrow(run, "g long, h long, c long, x binary, left int")
 
 
-def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """(doc_id, z, spans): the compressed text of every document, and stretches (s, e), maybe
-    overlapping, that cover exactly the bytes of its repeated strings."""
+def repeated_spans(texts: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+    """``texts(row, doc_id, z)`` with stretches (s, e), maybe overlapping, that cover exactly the
+    bytes of each row's repeated strings. A context that stands at a thousandth of all shared places
+    or more is one of at most a thousand, which every task knows; the others are joined."""
     reach = length - gram
-    every = anchor_rows(docs, length)
+    every = anchor_rows(texts, length)
     known = stored(every.groupBy("h").agg(F.count("*").alias("n"), F.min("c").alias("c1"), F.max("c").alias("c2")).where("n > 1").select("h", (F.col("c1") == F.col("c2")).alias("alike")))
     shared = stored(every.join(known, "h"))
     pos = F.shiftright("place", 8)
     start, end = F.greatest(F.lit(0), pos - reach), pos + length - F.col("place").bitwiseAND(F.lit(255))
-    alike = shared.where("alike").select("doc_id", start.alias("s"), end.alias("e"))
+    alike = shared.where("alike").select("row", start.alias("s"), end.alias("e"))
     mixed = shared.where("not alike")
-    classes = stored(mixed.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "place")).alias("at")))
-    wanted = classes.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("h", "c", F.col("at.place").alias("place"))).alias("wanted"))
-    texts = packed_texts(docs)
-    contexts = _cut_contexts(texts.join(wanted, "doc_id"), length, gram).repartition("h").sortWithinPartitions("h", "c")
+    classes = stored(mixed.groupBy("h", "c").agg(F.count("*").alias("n"), F.min(F.struct("row", "place")).alias("at")))
+    frequent = classes.where(F.col("n") > F.greatest(F.lit(1), F.lit(mixed.count() // FREQUENT))).select("h", "c")  # fewer than FREQUENT rows
+    marked = mixed.join(F.broadcast(frequent.withColumn("__all", F.lit(True))), ["h", "c"], "left")
+    whole = marked.where("__all").select("row", start.alias("s"), end.alias("e"))
+    rest = marked.where("__all is null").select(*mixed.columns)
+    large = stored(classes.groupBy("h").agg(F.count("*").alias("__n")).where(F.col("__n") > LARGE).select("h", F.lit(True).alias("large")))
+    several_large = large.count()  # few, and sent to every task if they are; most often there is none
+    sized = classes.join(F.broadcast(large) if several_large <= LARGE else large, "h", "left") if several_large else classes.withColumn("large", F.lit(None).cast("boolean"))
+    sized = sized.withColumn("large", F.coalesce("large", F.lit(False)))
+    wanted = sized.groupBy(F.col("at.row").alias("row")).agg(F.collect_list(F.struct("h", "c", F.col("at.place").alias("place"), "large")).alias("wanted"))
+    contexts = _cut_contexts(texts.select("row", "z").join(wanted, "row"), length, gram).repartition("g").sortWithinPartitions("g", "c")
     found = repeated_contexts(contexts, length, gram)
     # a context that stands at several places is repeated whole; the others where the construction says so
     several = classes.where("n > 1").select("h", "c", F.lit(-reach).alias("lo"), F.lit(length).alias("hi"))
     covered = found.unionByName(several).groupBy("h", "c").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    unlike = mixed.join(covered, ["h", "c"]).select("doc_id", F.greatest(F.lit(0), pos + F.col("lo")).alias("s"), F.least(end, pos + F.col("hi")).alias("e"))
-    by_doc = alike.unionByName(unlike).groupBy("doc_id").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
-    return texts.join(by_doc, "doc_id", "left")
+    unlike = rest.join(covered, ["h", "c"]).select("row", F.greatest(F.lit(0), pos + F.col("lo")).alias("s"), F.least(end, pos + F.col("hi")).alias("e"))
+    by_doc = alike.unionByName(whole).unionByName(unlike).groupBy("row").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
+    return texts.join(by_doc, "row", "left")
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
@@ -261,7 +298,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n_bytes, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(n_spans, pa.int64()), pa.array(sha, pa.string())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return repeated_spans(docs, length).select("doc_id", "z", "spans").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return repeated_spans(numbered_texts(docs), length).select("doc_id", "z", "spans").mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
