@@ -5,143 +5,210 @@ character 5-grams (with marks for its ends); if none of them is known, to 4-gram
 the mean log frequency of the n-grams of the first size that has known ones is its score.
 The sums over the whole text give the posterior of each language.
 
-Training uses at most about ``per_language`` documents of each language, chosen by a hash of
-the id; the tables keep at most ``max_words`` words and ``max_grams`` n-grams of each size.
-These bounds keep the model's size fixed whatever the corpus.
+Words are maximal runs of letters (and numerals that are no decimal digits) of the text in
+lower case. All texts of a chunk are cut, hashed and looked up together: the tables are sorted
+64-bit hashes with a row of log frequencies each.
+
+Training takes about ``per_language`` documents of each language, chosen by a hash of the id;
+that is the only bound. Of this sample every word and every n-gram that stands twice in it is
+kept. The tables grow with the number of languages times the sample.
 
 A null text, or one without a letter, is ``und`` with score 0, as is every text if nothing
 could be learned. Ties go to the first language by code point. Repeated rows are judged each
-for itself; an empty table gives no rows."""
+for itself; an empty table gives no rows; other columns are not looked at."""
 
 from __future__ import annotations
 
-import re
-from collections import Counter
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-WORD = re.compile(r"[^\W\d_]+")
+from recblock.llm import textkernel as K
+
 SIZES = (5, 4, 3, 2, 1)
-PER_LANGUAGE, MAX_WORDS, MAX_GRAMS, UNSEEN = 3000, 60_000, 30_000, "und"
-REMEMBERED = 200_000
+PER_LANGUAGE, UNSEEN, LEAST = 3000, "und", 2
+_STEP, _FIRST, _LAST = np.uint64(0x9E3779B97F4A7C15), np.uint64(2), np.uint64(3)
 
 
 def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 4 == 2, F.lit(False))
 
 
-def text_counts(text: str) -> Counter:
-    """Words of the whole text in lower case; a word has a letter."""
-    return Counter(WORD.findall(text.lower()))
+@cache
+def _letters() -> np.ndarray:
+    """Of each code point: bit 0 if it belongs to words, bit 1 if it is a letter."""
+    return np.array([(c.isalnum() and not c.isdecimal()) | c.isalpha() << 1 for c in map(chr, range(0x110000))], np.uint8)
+
+
+def cut_words(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Chunk by chunk: first text, last text + 1, code points, start and end of each word, its
+    text's number, and whether each text has a letter."""
+    for a, b, data, offs in K.chunks(pc.utf8_lower(texts)):
+        head = np.flatnonzero((data & 0xC0) != 0x80)
+        codes = np.frombuffer(data.tobytes().decode().encode("utf-32-le"), np.uint32)
+        edges = np.searchsorted(head, offs)
+        kind = _letters()[codes]
+        start, end, doc = K.words(np.where(kind & 1, 1, 0).astype(np.uint8), edges, _OUTSIDE)
+        letter = np.zeros(b - a, bool)
+        letter[np.searchsorted(edges, np.flatnonzero(kind & 2), "right") - 1] = True
+        yield a, b, codes, start, end, doc, letter
+
+
+_OUTSIDE = np.array([True] + [False] * 255)
+
 
+def word_hashes(codes: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each codes[start:end], the same wherever the letters stand."""
+    prefix = np.zeros(len(codes) + 1, np.uint64)
+    np.cumsum(K.mixed(codes.astype(np.uint64) + np.uint64(1)) * K.powers(K.BASE, len(codes)), out=prefix[1:])
+    return K.span_hash(prefix, start, end)
 
-def grams(word: str, n: int) -> list[str]:
-    marked = f"\x02{word}\x03"
-    return [marked[i : i + n] for i in range(len(marked) - n + 1)]
+
+def gram_hashes(codes: np.ndarray, start: np.ndarray, end: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the n-grams of each word between marks, and the word's number of each."""
+    length = end - start + 2
+    owner = np.repeat(np.arange(len(start)), length)
+    inside = np.arange(len(owner)) - np.repeat(np.cumsum(length) - length, length)
+    marked = np.full(len(owner), _FIRST)
+    letters = (inside > 0) & (inside < length[owner] - 1)
+    marked[letters] = codes[(start[owner] + inside - 1)[letters]]
+    marked[inside == length[owner] - 1] = _LAST
+    if len(marked) < n:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    whole = inside[: len(marked) - n + 1] + n <= length[owner[: len(marked) - n + 1]]
+    h = np.zeros(len(marked) - n + 1, np.uint64)
+    for j in range(n):
+        h = h * _STEP + marked[j : len(marked) - n + 1 + j]
+    return K.mixed(h[whole] + np.uint64(n)), owner[: len(whole)][whole]
+
+
+class Table:
+    """Sorted hashes and the log frequency of each in every language."""
+
+    def __init__(self, hashes: np.ndarray, counts: np.ndarray):
+        order = np.argsort(hashes)
+        self.hashes, c = hashes[order], counts[order].astype(float)
+        self.logs = np.log((c + 0.5) / (c.sum(0) + 0.5 * len(c)))
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        """The row of each hash, -1 if it is unknown."""
+        if not len(self.hashes):
+            return np.full(len(hashes), -1)
+        at = np.minimum(np.searchsorted(self.hashes, hashes), len(self.hashes) - 1)
+        return np.where(self.hashes[at] == hashes, at, -1)
 
 
 class Model:
-    """Log frequencies of words and n-grams by language."""
+    """Log frequencies of words and n-grams by language. ``tables``: 0 for words, n for n-grams."""
 
-    def __init__(self, languages: list[str], words: dict[str, list[int]], by_size: dict[int, dict[str, list[int]]], documents: list[int]):
-        self.languages = languages
+    def __init__(self, languages: list[str], documents: list[int], tables: dict[int, Table]):
+        self.languages, self.tables = languages, tables
         self.prior = np.log(np.array(documents, float) + 1)
-        self.words = self._table(words)
-        self.grams = {n: self._table(t) for n, t in by_size.items()}
-        self.cache: dict[str, np.ndarray | None] = {}
-
-    @staticmethod
-    def _table(counts: dict[str, list[int]]) -> tuple[dict[str, int], np.ndarray]:
-        if not counts:
-            return {}, np.zeros((0, 1))
-        c = np.array(list(counts.values()), float)
-        return dict(zip(counts, range(len(counts)), strict=True)), np.log((c + 0.5) / (c.sum(0) + 0.5 * len(c)))
-
-    def unseen(self, word: str) -> np.ndarray | None:
-        if word in self.cache:
-            return self.cache[word]
-        out = None
+
+    def unseen(self, codes: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Scores of words that no table of words has, 0 where no n-gram is known either."""
+        out, todo = np.zeros((len(start), len(self.languages))), np.arange(len(start))
         for n in SIZES:
-            at, logs = self.grams[n]
-            own = [at[g] for g in grams(word, n) if g in at]
-            if own:
-                out = logs[own].mean(0)
+            if not len(todo):
                 break
-        if len(self.cache) >= REMEMBERED:
-            self.cache.clear()
-        self.cache[word] = out
+            h, owner = gram_hashes(codes, start[todo], end[todo], n)
+            at = self.tables[n].find(h)
+            owner, at = owner[at >= 0], at[at >= 0]
+            count = np.bincount(owner, minlength=len(todo))
+            known = count > 0
+            for k in range(len(self.languages)):
+                total = np.bincount(owner, self.tables[n].logs[at, k], minlength=len(todo))
+                out[todo[known], k] = total[known] / count[known]
+            todo = todo[~known]
         return out
 
-    def judge(self, text: str | None) -> tuple[str, float]:
-        counts = text_counts(text) if text else {}
-        if not self.languages or not any(c.isalpha() for w in counts for c in w):
-            return UNSEEN, 0.0
-        at, logs = self.words
-        known = [(i, n) for w, n in counts.items() if (i := at.get(w)) is not None]
-        total = self.prior - self.prior.max()
-        if known:
-            rows = np.array(known)
-            total = total + rows[:, 1] @ logs[rows[:, 0]]
-        if len(known) < len(counts):
-            for w, n in counts.items():
-                if w not in at and (s := self.unseen(w)) is not None:
-                    total = total + n * s
-        p = np.exp(total - total.max())
-        best = int(p.argmax())
-        return self.languages[best], float(p[best] / p.sum())
-
-
-def train(docs: DataFrame, per_language: int = PER_LANGUAGE, max_words: int = MAX_WORDS, max_grams: int = MAX_GRAMS) -> Model:
+    def judge(self, texts: pa.Array) -> tuple[list[str], np.ndarray]:
+        """Language and score of each text."""
+        names, scores = [UNSEEN] * len(texts), np.zeros(len(texts))
+        if not self.languages:
+            return names, scores
+        for a, b, codes, start, end, doc, letter in cut_words(texts):
+            h = word_hashes(codes, start, end)
+            distinct, where, back = np.unique(h, return_index=True, return_inverse=True)
+            at = self.tables[0].find(distinct)
+            logs = np.zeros((len(distinct), len(self.languages)))
+            logs[at >= 0] = self.tables[0].logs[at[at >= 0]]
+            new = np.flatnonzero(at < 0)
+            logs[new] = self.unseen(codes, start[where[new]], end[where[new]])
+            total = np.stack([np.bincount(doc, logs[back, k], minlength=b - a) for k in range(len(self.languages))], axis=1) + (self.prior - self.prior.max())
+            p = np.exp(total - total.max(1, keepdims=True))
+            best = p.argmax(1)
+            for i in np.flatnonzero(letter).tolist():
+                names[a + i] = self.languages[best[i]]
+            scores[a:b] = np.where(letter, p[np.arange(b - a), best] / p.sum(1), 0.0)
+        return names, scores
+
+
+def _sums(keys: list[np.ndarray], counts: np.ndarray, languages: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (size, hash) and their counts by language."""
+    size, h, k = keys
+    order = np.lexsort((h, size))
+    size, h, k, counts = size[order], h[order], k[order], counts[order]
+    new = np.append(True, (size[1:] != size[:-1]) | (h[1:] != h[:-1])) if len(h) else np.zeros(0, bool)
+    group = np.cumsum(new) - 1
+    table = np.zeros((int(new.sum()), languages), np.int64)
+    np.add.at(table, (group, k), counts)
+    return size[new], h[new], table
+
+
+def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
     """The model of ``docs(doc_id, text, lang)``: rows that aren't held out and have a language."""
     known = docs.where(~held_out(F.col("doc_id")) & F.col("lang").isNotNull())
-    rows = known.groupBy("lang").agg(F.count("*")).limit(1001).collect()
-    if len(rows) > 1000:
-        raise ValueError("more than 1000 languages: the model is meant for a closed set of codes")
-    sizes = dict(sorted((r[0], r[1]) for r in rows))
+    sizes = dict(sorted((r[0], r[1]) for r in known.groupBy(F.col("lang").cast("string")).agg(F.count("*")).collect()))  # one row per language
     languages = list(sizes)
     if not languages:
-        return Model([], {}, {n: {} for n in SIZES}, [])
-    rate = F.element_at(F.create_map(*[F.lit(x) for k, v in sizes.items() for x in (k, min(1.0, per_language / v))]), F.col("lang"))
-    number = F.element_at(F.create_map(*[F.lit(x) for k, v in enumerate(languages) for x in (v, k)]), F.col("lang"))
+        return Model([], [], {})
+    rate = F.element_at(F.create_map(*[F.lit(x) for k, v in sizes.items() for x in (k, min(1.0, per_language / v))]), F.col("lang").cast("string"))
+    number = F.element_at(F.create_map(*[F.lit(x) for k, v in enumerate(languages) for x in (v, k)]), F.col("lang").cast("string"))
     chance = F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(1 << 30)) / F.lit(float(1 << 30))
     sample = known.where(chance < rate).select(number.alias("k"), F.col("text").cast("string").alias("text"))
+    width = len(languages)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: Counter = Counter()
+        """Counts of words and n-grams of a chunk; each distinct word is cut into n-grams once."""
         for batch in batches:
-            for k, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                total.update({(k, w): n for w, n in text_counts(text or "").items()})
-        keys = list(total)
-        yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in keys], pa.int32()), pa.array([w for _, w in keys], pa.string()), pa.array(list(total.values()), pa.int64())], ["k", "w", "n"])
-
-    by_word = sample.mapInArrow(count, "k int, w string, n long").groupBy("w").agg(F.sum("n").alias("n"), *[F.sum(F.when(F.col("k") == i, F.col("n")).otherwise(0)).alias(f"c{i}") for i in range(len(languages))])
-    kept = by_word.orderBy(F.desc("n"), "w").limit(max_words).collect()  # max_words rows
-    words = {r[0]: list(r[2:]) for r in kept}
-    by_size: dict[int, dict[str, list[int]]] = {}
-    for n in SIZES:
-        table: dict[str, np.ndarray] = {}
-        for w, c in words.items():
-            c = np.array(c)
-            for g in grams(w, n):
-                table[g] = table[g] + c if g in table else c
-        top = sorted(table, key=lambda g: (-int(table[g].sum()), g))[:max_grams]
-        by_size[n] = {g: table[g].tolist() for g in top}
-    return Model(languages, {w: c for w, c in words.items() if sum(c) > 1}, by_size, [sizes[x] for x in languages])
+            language = batch.column(0).to_numpy()
+            for a, _, codes, start, end, doc, _ in cut_words(batch.column(1)):
+                h = word_hashes(codes, start, end)
+                of = language[a + doc].astype(np.uint64)
+                pair, where, times = np.unique(K.mixed(h ^ (of * _STEP)), return_index=True, return_counts=True)
+                size, hashes, ks, ns = [np.zeros(len(pair), np.int64)], [h[where]], [of[where]], [times]
+                for n in SIZES:
+                    g, owner = gram_hashes(codes, start[where], end[where], n)
+                    size.append(np.full(len(g), n))
+                    hashes.append(g)
+                    ks.append(of[where][owner])
+                    ns.append(times[owner])
+                s, x, table = _sums([np.concatenate(size), np.concatenate(hashes), np.concatenate(ks).astype(np.int64)], np.concatenate(ns), width)
+                lists = pa.FixedSizeListArray.from_arrays(pa.array(table.ravel()), width).cast(pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array(s.astype(np.int32)), pa.array(x.view(np.int64)), lists], ["size", "h", "c"])
+
+    counted = sample.mapInArrow(count, "size int, h long, c array<long>")
+    sums = counted.groupBy("size", "h").agg(*[F.sum(F.col("c")[i]).alias(f"c{i}") for i in range(width)])
+    kept = sums.where(sum((F.col(f"c{i}") for i in range(width)), F.lit(0)) >= LEAST).toArrow()  # bounded by the sample
+    size, h = kept.column("size").to_numpy(), kept.column("h").to_numpy().view(np.uint64)
+    c = np.stack([kept.column(f"c{i}").to_numpy() for i in range(width)], axis=1)
+    return Model(languages, list(sizes.values()), {n: Table(h[size == n], c[size == n]) for n in (0, *SIZES)})
 
 
 def identify(docs: DataFrame, model: Model) -> DataFrame:
     """``docs(doc_id, text)`` to doc_id, lang_pred and score."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by max_words and max_grams
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample it was learned from
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = shared.value
         for batch in batches:
-            got = [own.judge(t.as_py()) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], ["doc_id", "lang_pred", "score"])
+            names, scores = shared.value.judge(batch.column(1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(scores)], ["doc_id", "lang_pred", "score"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, lang_pred string, score double")
