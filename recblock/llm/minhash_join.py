@@ -5,34 +5,35 @@ by the shingle that is least under the tree's hash of that level: classes that c
 one share a node. Nodes of one class end; small nodes are compared exhaustively on full sets;
 large ones branch again by the next level's choice. A node that is still large after the last
 level is cut into blocks, and each pair of blocks is a node, so nothing is left out. Trees are
-repeated until a link at the threshold is missed with negligible chance (0.15 ** trees where
-the first level ends). Equal nodes of several trees are compared once.
+repeated until a link at the threshold is missed with a chance of at most MISS even where all
+levels must choose alike (``trees_for``); where the first level ends, as for most, the chance is
+many times smaller. Equal nodes of several trees are compared once.
 
 Inside a node, similarity is the share of common shingles, whose complement is a metric: after
 each class is compared with the node's leaders, only pairs that the triangle inequality allows
 are compared further, which finds the components of all links without all pairs.
 
-Texts without words, and nulls, have no shingles, link with nothing and stay. Ids are taken as
-unique; repeated rows of an id are copies of one document. A row without an id is a copy if its
-set equals that of one with an id, else it links with nothing and stays. An empty table gives no
-rows."""
+Texts without words, and nulls, have no shingles, link with nothing and stay. Ids may repeat or
+be null: a class is a set of shingles, whoever bears it. A component's id is its least id, null if
+all of its rows are without one. An empty table gives no rows."""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from recblock.llm import textkernel as K
 from recblock.operators.graph import connected_components
 from recblock.session import cut
 
-WORDS, PERCENT, TREES, LEVELS = 5, 85, 10, 3
-SMALL, LARGEST = 512, 4096
+WORDS, PERCENT, LEVELS, MISS = 5, 85, 3, 1e-4
+SMALL, LARGEST = 512, 1024
 _ODD = K.mixed(np.arange(1, 1001, dtype=np.uint64) * np.uint64(0xD1B54A32D192ED03)) | np.uint64(1)
 
 
@@ -64,13 +65,20 @@ def shingles(data: np.ndarray, offs: np.ndarray, width: int = WORDS) -> tuple[np
     return full, np.append(0, np.cumsum(np.bincount(owner, minlength=n)))
 
 
-def signatures(docs: DataFrame, width: int = WORDS, trees: int = TREES, levels: int = LEVELS) -> DataFrame:
-    """doc_id, n_shingles, two digests of the set, and the least shingle of each tree and level."""
+def trees_for(percent: int, levels: int = LEVELS, miss: float = MISS) -> int:
+    """So many trees that a pair of this similarity is missed by all with at most the chance ``miss``."""
+    found = (percent / 100) ** levels
+    return 1 if found >= 1 else math.ceil(math.log(miss) / math.log(1 - found))
+
+
+def signatures(docs: DataFrame, width: int, trees: int, levels: int) -> DataFrame:
+    """row (a number), doc_id, text_hash, n_shingles, two digests of the set, and the least shingle of
+    each tree and level."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, data, offs in K.chunks(batch.column(1)):
+            for a, b, data, offs in K.chunks(batch.column(3)):
                 full, at = shingles(data, offs, width)
                 size = np.diff(at)
                 some = np.flatnonzero(size)
@@ -83,9 +91,10 @@ def signatures(docs: DataFrame, width: int = WORDS, trees: int = TREES, levels:
                     for k in range(trees * levels):
                         least[some, k] = np.minimum.reduceat(full * _ODD[k], heads).view(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(b - a + 1, dtype=np.int32) * (trees * levels)), pa.array(least.ravel()))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(size.astype(np.int64)), pa.array(sums[0]), pa.array(sums[1]), lists], ["doc_id", "n_shingles", "s1", "s2", "least"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(k).slice(a, b - a) for k in range(3)), pa.array(size.astype(np.int64)), pa.array(sums[0]), pa.array(sums[1]), lists], ["row", "doc_id", "text_hash", "n_shingles", "s1", "s2", "least"])
 
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, n_shingles long, s1 long, s2 long, least array<long>")
+    text = F.col("text").cast("string")
+    return docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, f"row long, doc_id {kind}, text_hash long, n_shingles long, s1 long, s2 long, least array<long>")
 
 
 def node_links(sets: list[np.ndarray], percent: int = PERCENT) -> list[tuple[int, int]]:
@@ -153,8 +162,7 @@ def node_links(sets: list[np.ndarray], percent: int = PERCENT) -> list[tuple[int
 
 
 def _compared(members: DataFrame, width: int, percent: int) -> DataFrame:
-    """``members(node, doc_id, z)`` to links (src, dst)."""
-    kind = members.schema["doc_id"].dataType.simpleString()
+    """``members(node, cls, z)`` to links (src, dst) of classes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         un = zstandard.ZstdDecompressor()
@@ -184,7 +192,7 @@ def _compared(members: DataFrame, width: int, percent: int) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(dst, pa.int64())], ["src", "dst"])
 
         for batch in batches:
-            for node, doc, z in zip(*(batch.column(c).to_pylist() for c in ("node", "doc_id", "z")), strict=True):
+            for node, doc, z in zip(*(batch.column(c).to_pylist() for c in ("node", "cls", "z")), strict=True):
                 if held > 1_000_000 and node != rows[-1][0]:
                     yield done(rows)
                     rows, held = [], 0
@@ -193,64 +201,91 @@ def _compared(members: DataFrame, width: int, percent: int) -> DataFrame:
         if rows:
             yield done(rows)
 
-    return members.mapInArrow(run, f"src {kind}, dst {kind}")
+    return members.select("node", "cls", "z").mapInArrow(run, "src long, dst long")
 
 
 def packed_texts(docs: DataFrame) -> DataFrame:
-    """doc_id and the compressed text, which moves in the text's place."""
+    """doc_id, the text's hash and the compressed text, which moves in the text's place."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tight = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            data, offs = K.buffers(batch.column(1))
+            data, offs = K.buffers(batch.column(2))
             raw = memoryview(data)
             z = [tight.compress(raw[x:y]) for x, y in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(z, pa.binary())], ["doc_id", "z"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], ["doc_id", "text_hash", "z"])
 
-    return docs.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, z binary")
+    text = F.col("text").cast("string")
+    return docs.select("doc_id", F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, f"doc_id {kind}, text_hash long, z binary")
 
 
 def _nodes(classes: DataFrame, trees: int, levels: int) -> DataFrame:
-    """(node, doc_id) of all nodes with two classes or more, equal ones once."""
+    """(node, cls) of all nodes with two classes or more, equal ones once."""
     path = F.slice("least", F.col("tree") * levels + 1, levels)
-    live = classes.select("doc_id", "least", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))).alias("tree")).select("doc_id", F.col("tree").cast("long").alias("node"), path.alias("path"))
+    live = classes.select("cls", "least", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))).alias("tree")).select("cls", F.col("tree").cast("long").alias("node"), path.alias("path"))
     found = None
     for level in range(levels):
-        keyed = live.select("doc_id", F.xxhash64("node", F.col("path")[level]).alias("node"), "path")
+        keyed = live.select("cls", F.xxhash64("node", F.col("path")[level]).alias("node"), "path")
         shared = keyed.groupBy("node").agg(F.count("*").alias("n")).where("n > 1")
         now = cut(keyed.join(shared, "node"))
-        small = now.where(F.col("n") <= SMALL).select("node", "doc_id")
+        small = now.where(F.col("n") <= SMALL).select("node", "cls")
         found = small if found is None else found.unionByName(small)
         live = now.where(F.col("n") > SMALL)
         if live.isEmpty():
             break
     else:
         blocks = F.when(F.col("n") <= LARGEST, 1).otherwise(F.ceil(F.col("n") / (LARGEST // 2))).cast("int")
-        own = F.pmod(F.xxhash64("doc_id"), F.col("__blocks")).cast("int")
+        own = F.pmod(F.xxhash64("cls"), F.col("__blocks")).cast("int")
         cells = live.withColumn("__blocks", blocks).withColumn("__own", own).withColumn("__other", F.explode(F.sequence(F.lit(0), F.col("__blocks") - 1)))
-        found = found.unionByName(cells.select(F.xxhash64("node", F.least("__own", "__other"), F.greatest("__own", "__other")).alias("node"), "doc_id"))
+        found = found.unionByName(cells.select(F.xxhash64("node", F.least("__own", "__other"), F.greatest("__own", "__other")).alias("node"), "cls"))
     members = cut(found.distinct())
-    mark = members.groupBy("node").agg(F.count("*").alias("n"), F.sum(F.xxhash64("doc_id").cast("decimal(20,0)")).alias("a"), F.bit_xor(F.xxhash64("doc_id", F.lit(7))).alias("b"))
+    mark = members.groupBy("node").agg(F.count("*").alias("n"), F.sum(F.xxhash64("cls").cast("decimal(20,0)")).alias("a"), F.bit_xor(F.xxhash64("cls", F.lit(7))).alias("b"))
     once = mark.groupBy("n", "a", "b").agg(F.min("node").alias("node")).select("node")
     return members.join(once, "node", "left_semi")
 
 
-def near_duplicates(docs: DataFrame, width: int = WORDS, percent: int = PERCENT, trees: int = TREES, levels: int = LEVELS) -> DataFrame:
-    """``docs(doc_id, text)`` to doc_id, n_shingles, component_id and kept."""
+def judged(docs: DataFrame, width: int = WORDS, percent: int = PERCENT, trees: int | None = None, levels: int = LEVELS) -> DataFrame:
+    """``docs(doc_id, text)`` to doc_id, text_hash, n_shingles, group (a number; null without
+    shingles) and component_id."""
+    trees = trees or trees_for(percent, levels)
     signed = cut(signatures(docs, width, trees, levels))
     key = ["n_shingles", "s1", "s2"]
-    classes = cut(signed.where("n_shingles > 0").groupBy(*key).agg(F.min("doc_id").alias("doc_id"), F.first("least").alias("least")))
+    first = F.min(F.struct("row", "doc_id", "text_hash", "least"))
+    classes = cut(signed.where("n_shingles > 0").groupBy(*key).agg(first.alias("f"), F.min("doc_id").alias("least_id")).select(*key, "f.*", "least_id").withColumnRenamed("row", "cls"))
     members = cut(_nodes(classes, trees, levels))
-    wanted = members.select("doc_id").distinct()
-    texts = packed_texts(docs).join(wanted, "doc_id")
-    nodes = members.join(texts, "doc_id").repartition("node").sortWithinPartitions("node", "doc_id")
-    links = _compared(nodes.select("node", "doc_id", "z"), width, percent)
-    roots = connected_components(links).withColumnRenamed("node", "__rep")
-    named = classes.select(*[F.col(k).alias(f"__{k}") for k in key], F.col("doc_id").alias("__rep")).join(roots, "__rep", "left")
+    wanted = members.select("cls").distinct().join(classes.select("cls", F.col("doc_id").alias("__id"), F.col("text_hash").alias("__hash")), "cls")
+    texts = packed_texts(docs)
+    held = texts.join(wanted, texts["doc_id"].eqNullSafe(F.col("__id")) & (texts["text_hash"] == F.col("__hash"))).select("cls", "z")
+    nodes = members.join(held, "cls").repartition("node").sortWithinPartitions("node", "cls")
+    roots = cut(connected_components(_compared(nodes, width, percent)).select(F.col("node").alias("cls"), F.col("component_id").alias("root")))
+    grouped = classes.select("cls", "least_id").join(roots, "cls")
+    ids = grouped.groupBy("root").agg(F.min("least_id").alias("linked_id"))
+    linked = roots.join(ids, "root")
+    named = classes.join(linked, "cls", "left").select(*[F.col(k).alias(f"__{k}") for k in key], F.coalesce("root", "cls").alias("group"), F.when(F.col("root").isNotNull(), F.col("linked_id")).otherwise(F.col("least_id")).alias("component_id"))
     both = signed.join(named, [signed[k] == F.col(f"__{k}") for k in key], "left")
-    component = F.coalesce("component_id", "__rep", "doc_id")
-    return both.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+    return both.select("doc_id", "text_hash", "n_shingles", "group", F.when(F.col("group").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+
+
+def near_duplicates(docs: DataFrame, width: int = WORDS, percent: int = PERCENT, trees: int | None = None, levels: int = LEVELS) -> DataFrame:
+    """``docs(doc_id, text)`` to doc_id, n_shingles, component_id and kept: true for rows of the
+    component's id, and for rows without an id in a component that has none."""
+    out = judged(docs, width, percent, trees, levels)
+    return out.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
+def without_near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """The rows of ``docs`` without near duplicates: of each component exactly one row stays, one of
+    least id (rows without an id last), however often ids or rows repeat; rows without words stay."""
+    names, text = docs.columns, F.col("text").cast("string")
+    found = judged(docs.select("doc_id", "text"), percent=percent).where("n_shingles > 0")
+    id_hash = F.xxhash64(F.col("doc_id").isNull(), F.col("doc_id"))
+    first = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("group").agg(F.min(F.struct(id_hash.alias("__id"), F.col("text_hash").alias("__hash"))).alias("f")).select("f.*")
+    wordless = F.coalesce(~text.rlike(r"[^\x20\x09-\x0D]"), F.lit(True))
+    rows = docs.where(~wordless).select(F.struct(*names).alias("__row"), id_hash.alias("__id"), F.xxhash64(text).alias("__hash"))
+    once = Window.partitionBy("__id", "__hash").orderBy("__hash")
+    kept = rows.join(first, ["__id", "__hash"]).withColumn("__n", F.row_number().over(once)).where("__n = 1")
+    return kept.select("__row.*").unionByName(docs.where(wordless))
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
