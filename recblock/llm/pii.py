@@ -108,8 +108,14 @@ def overlaps(union: tuple[list[int], list[int]], s: int, e: int) -> bool:
 
 
 def pattern_before(text: str, start: int) -> str:
-    """The last three words or signs before a place, in lower case."""
-    return " ".join(CONTEXT.findall(text[max(0, start - 60) : start].lower())[-3:])
+    """The last three words or signs before a place, in lower case; each of them whole."""
+    width = 64
+    while True:
+        begin = max(0, start - width)
+        found = CONTEXT.findall(text[begin:start])
+        if begin == 0 or len(found) > 3:
+            return " ".join(found[-3:]).lower()
+        width *= 4
 
 
 def _addresses(text: str) -> list[tuple[int, int]]:
