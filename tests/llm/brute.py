@@ -44,3 +44,32 @@ def components(texts: dict[int, str], percent: int = 85) -> dict[int, tuple]:
             x, y = find(a), find(b)
             root[max(x, y)] = min(x, y)
     return {d: (len(sets[d]), find(d), find(d) == d) for d in sets}
+
+
+def license_base(text: str | None) -> tuple:
+    """n_words, n_base, first_word, last_word and base_labels of one text."""
+    words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or ""))
+    places, labels = [], set()
+    for phrase, label in (("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl")):
+        key = phrase.split()
+        own = [i for i in range(len(words) - len(key) + 1) if words[i : i + len(key)] == key]
+        places += own
+        labels |= {label} if own else set()
+    return len(words), len(places), min(places, default=None), max(places, default=None), ",".join(sorted(labels))
+
+
+def luhn(digits: str) -> bool:
+    doubled = [int(c) if k % 2 == 0 else sum(divmod(2 * int(c), 10)) for k, c in enumerate(reversed(digits))]
+    return sum(doubled) % 10 == 0
+
+
+def personal_base(text: str | None) -> dict[str, list[tuple[int, int]]]:
+    """Spans of the four base kinds of one text."""
+    digits = lambda m: "".join(c for c in m.group() if c.isdigit())
+    checks = {
+        "email": (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+        "ip": (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(p) <= 255 for p in m.group().split("."))),
+        "card": (r"[0-9]([\x20-]?[0-9])+", lambda m: 13 <= len(digits(m)) <= 19 and luhn(digits(m))),
+        "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 9 <= len(digits(m)) <= 15),
+    }
+    return {k: [m.span() for m in re.finditer(p, text or "") if ok(m)] for k, (p, ok) in checks.items()}

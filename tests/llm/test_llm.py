@@ -1,4 +1,7 @@
+import hashlib
+import math
 import random
+import re
 import sys
 import zlib
 from collections import Counter
@@ -37,6 +40,33 @@ def test_repeats_equal_brute_force(corpus):
     assert {r[0]: tuple(r)[1:] for r in suffix_dedup.remove_repeats(docs).collect()} == brute.removed(texts)
 
 
+def test_repeats_of_parted_collections(corpus, monkeypatch):
+    docs, texts = corpus
+    monkeypatch.setattr(suffix_dedup, "LARGE", 1)
+    monkeypatch.setattr(suffix_dedup, "GROUP", 3)
+    assert {r[0]: tuple(r)[1:] for r in suffix_dedup.remove_repeats(docs).collect()} == brute.removed(texts)
+
+
+def test_repeats_with_null_huge_and_repeated_ids(spark):
+    rng = random.Random(21)
+    shared = "".join(rng.choice("abcdefgh ") for _ in range(389))
+    rows = [((1 << 60) + 1, f"x {shared} y"), ((1 << 60) + 3, f"zz {shared} q"), (None, f"n {shared} m"), (None, None), (5, "a" * 250), (5, "a" * 250), (5, "own")]
+    want = brute.removed({k: t for k, (_, t) in enumerate(rows)})
+    got = suffix_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
+    assert sorted(map(repr, ((r[0], *tuple(r)[1:]) for r in got))) == sorted(repr((i, *want[k])) for k, (i, _) in enumerate(rows))
+    names = suffix_dedup.remove_repeats(spark.createDataFrame([(str(i), t) for i, t in rows], "doc_id string, text string")).collect()
+    assert sorted(tuple(r)[1:] for r in names) == sorted(want.values())
+
+
+def test_a_very_frequent_context_is_known_to_all(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "FREQUENT", 3)
+    rng = random.Random(22)
+    passage = "".join(rng.choice("abcdefgh ") for _ in range(500))
+    texts = {i: passage if i < 40 else passage[:300] + str(i) * 60 + passage[300:] for i in range(46)}
+    got = suffix_dedup.remove_repeats(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()
+    assert {r[0]: tuple(r)[1:] for r in got} == brute.removed(texts)
+
+
 def test_columns_find_repeats():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 2, (60, 7)).astype(np.uint8)
@@ -58,6 +88,26 @@ def test_large_nodes_are_split(corpus, monkeypatch):
     assert {r[0]: tuple(r)[1:] for r in minhash_join.near_duplicates(docs).collect()} == brute.components(texts)
 
 
+def test_trees_follow_the_similarity():
+    for percent in (80, 85, 90):
+        trees = minhash_join.trees_for(percent)
+        assert (1 - (percent / 100) ** minhash_join.LEVELS) ** trees <= minhash_join.MISS < (1 - (percent / 100) ** minhash_join.LEVELS) ** (trees - 1)
+
+
+def test_near_duplicates_with_null_and_repeated_ids(spark):
+    base = [f"w{i}" for i in range(60)]
+    near = lambda k: " ".join([*base[:k], "other", *base[k + 1 :]])
+    a, b = " ".join(base), " ".join(f"v{i}" for i in range(40))
+    rows = [(7, a), (7, b), (3, near(59)), (None, a.upper()), (None, b), (None, "alone in the world it is"), (None, "alone in the world it is"), (9, a), (9, a), (5, b), (None, None), (4, ""), (4, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(map(repr, (tuple(r) for r in minhash_join.near_duplicates(docs).collect())))
+    n = {a: 56, b: 36}
+    want = [(7, n[a], 3, False), (7, n[b], 5, False), (3, 56, 3, True), (None, n[a], 3, False), (None, n[b], 5, False), (None, 2, None, True), (None, 2, None, True), (9, n[a], 3, False), (9, n[a], 3, False), (5, n[b], 5, True), (None, 0, None, True), (4, 0, 4, True), (4, 0, 4, True)]
+    assert got == sorted(map(repr, want))
+    left = minhash_join.without_near_duplicates(docs).collect()
+    assert sorted(map(repr, map(tuple, left))) == sorted(map(repr, [(3, near(59)), (5, b), (None, "alone in the world it is"), (None, None), (4, ""), (4, "")]))
+
+
 def test_tokens_equal_the_tokenizer_and_round_trip(corpus):
     _, texts = corpus
     rng = random.Random(2)
@@ -85,10 +135,22 @@ def test_packing_fills_every_place(spark, corpus):
     assert sum(tops.values()) == len(used) and max(tops.values()) <= 64
     assert len(tops) <= 1.1 * sum(tops.values()) / 64 + 2
     enc = packing.encoder(packing.vocabulary_path())
-    ids = np.append(np.array(enc.tokenizer.encode(texts[0]).ids, "<u4"), np.array([0], "<u4"))
-    own = sorted((p for p in pieces if p.doc_id == 0), key=lambda p: p.piece)
-    assert [zlib.crc32(ids[p.start : p.start + p.length].tobytes()) for p in own] == [p.ids_crc32 for p in own]
-    assert own[0].start == 0 and sum(p.length for p in own) == len(ids) and all(p.length == 64 for p in own[1:])
+    for d, t in texts.items():
+        ids = np.append(np.array(enc.tokenizer.encode(t or "", add_special_tokens=False).ids, "<u4"), np.array([0], "<u4")).astype("<u4")
+        own = sorted((p for p in pieces if p.doc_id == d), key=lambda p: p.piece)
+        assert [p.piece for p in own] == list(range(len(own))) and [p.start for p in own] == [0, *np.cumsum([p.length for p in own])[:-1].tolist()]
+        assert [zlib.crc32(ids[p.start : p.start + p.length].tobytes()) for p in own] == [p.ids_crc32 for p in own]
+        assert sum(p.length for p in own) == len(ids) and all(p.length == 64 for p in own[1:])
+
+
+def test_pieces_of_rows_without_ids_and_of_repeated_rows(spark):
+    rows = [(None, "some words here"), (None, "some words here"), (1, "x"), (1, "x"), (2, None)]
+    got = packing.pack_documents(spark.createDataFrame(rows, "doc_id long, text string"), 64).collect()
+    assert sorted(repr(r.doc_id) for r in got) == ["1", "1", "2", "None", "None"]
+    filled = sorted((r.sequence_id, r.offset + k) for r in got for k in range(r.length))
+    assert len(set(filled)) == len(filled) == sum(r.length for r in got)
+    many = packing.pack(packing.token_pieces(spark.createDataFrame(rows, "doc_id long, text string"), 64), 64, buckets=1000).collect()
+    assert sorted(map(repr, ((r.sequence_id, r.offset, r.length) for r in many))) == sorted(map(repr, ((r.sequence_id, r.offset, r.length) for r in got)))
 
 
 def test_globs():
@@ -98,6 +160,28 @@ def test_globs():
     assert m.fits(data, offs).astype(int).tolist() == [[1, 0, 0, 0], [1, 0, 0, 0], [0, 0, 0, 0], [1, 1, 0, 0], [0, 0, 1, 0], [0, 0, 1, 1], [0, 0, 1, 0], [0, 0, 0, 0]]
 
 
+def test_many_globs_over_many_words_of_bits():
+    rng = random.Random(41)
+    word = lambda most: "".join(rng.choice("abc") for _ in range(rng.randint(1, most)))
+    globs = ["*".join(word(6) if rng.random() < 0.8 else "" for _ in range(rng.randint(1, 4))) for _ in range(150)] + ["x" * 200, "*" + "ab" * 70 + "*"]
+    machine = url_filter.Automaton([g.encode() for g in globs])
+    assert machine.words > 10
+    texts = [word(12) for _ in range(300)] + ["x" * 200, "x" * 199, "c" + "ab" * 70 + "c", "", *(g.replace("*", word(3)) for g in globs)]
+    data, offs = textkernel.buffers(pa.array([t.encode() for t in texts], pa.binary()))
+    plain = [[bool(re.fullmatch(".*".join(map(re.escape, g.split("*"))), t, re.S)) for g in globs] for t in texts]
+    assert machine.fits(data, offs).tolist() == plain
+
+
+def test_a_table_of_rules(spark):
+    rules = tuple(("block" if k % 2 else "allow", f"h{k}.org/p{k % 3}/") for k in range(120))
+    rows = [(k, f"https://a.H{k}.org/p{j}/x") for k in range(130) for j in range(3)]
+    got = {(r.page_id, r.path): (r.rule, r.verdict) for r in url_filter.judge_urls(spark.createDataFrame(rows, "page_id long, url string").withColumn("host", F.lit("clash")).withColumn("rule", F.lit(1)), rules, ()).collect()}
+    for k, u in rows:
+        path = u[u.index(".org") + 4 :]
+        fits = k < 120 and path.startswith(f"/p{k % 3}/")
+        assert got[k, path] == ((f"h{k}.org/p{k % 3}/", "block" if k % 2 else "allow") if fits else (None, "allow"))
+
+
 def test_url_rules(spark):
     rows = [(1, "http://A.example.NET/en/x?q"), (2, "https://b.net?x"), (3, None), (4, "no scheme.net/"), (5, "ftp://sub.org/fr/#a"), (6, "http://casino-x.com/"), (7, "http://x.com/y.net/")]
     got = {r[0]: tuple(r)[1:] for r in url_filter.judge_urls(spark.createDataFrame(rows, "page_id long, url string")).collect()}
@@ -112,12 +196,60 @@ def test_quality_rules(corpus):
     assert got[last - 1].n_repeat_words == 200 and not got[last - 1].kept and got[last].n_dup_lines == 59
     none = next(d for d, t in texts.items() if t is None)
     assert (got[none].n_words, got[none].word_chars, got[none].kept) == (0, 0, False)
-    assert {r.rule for r in quality_rules.ablations(quality_rules.ledger(docs)).collect()} == set(quality_rules.RULES)
-
-
-def test_language_model():
-    m = language_id.Model(["a", "b"], {"the": [9, 1], "der": [1, 9]}, {n: {"un": [1, 8], "zz": [8, 1]} if n == 2 else {} for n in language_id.SIZES}, [5, 5])
-    assert m.judge("the the")[0] == "a" and m.judge("xun")[0] == "b" and m.judge(None) == ("und", 0.0) and m.judge("12 !") == ("und", 0.0)
+    bits = [r.fail_bits for r in quality_rules.ledger(docs).collect()]
+    for r in quality_rules.ablations(quality_rules.ledger(docs)).collect():
+        mask, bit = quality_rules.POLICIES[r.policy], 1 << quality_rules.RULES.index(r.rule)
+        assert mask & bit and (r.failed, r.only_this) == (sum(b & mask & bit > 0 for b in bits), sum(b & mask == bit for b in bits))
+    assert {r.doc_id for r in quality_rules.judged(quality_rules.ledger(docs), "base").where("kept").collect()} >= {r.doc_id for r in quality_rules.judged(quality_rules.ledger(docs)).where("kept").collect()}
+
+
+def plain_language_model(rows):
+    """Word-first backoff row by row: (text, lang) pairs to a judge of texts."""
+    word = re.compile(r"[^\W\d_]+")
+    cut = lambda t: word.findall((t or "").lower())
+    grams = lambda w, n: [f"\x02{w}\x03"[i : i + n] for i in range(len(w) + 2 - n + 1)]
+    languages = sorted({x for _, x in rows})
+    tables = {n: {} for n in (0, *language_id.SIZES)}
+    for t, x in rows:
+        for w in cut(t):
+            for n in tables:
+                for g in [w] if n == 0 else grams(w, n):
+                    tables[n].setdefault(g, [0] * len(languages))[languages.index(x)] += 1
+    logs = {}
+    for n, table in tables.items():
+        table = {g: c for g, c in table.items() if sum(c) >= language_id.LEAST}
+        total = [sum(c[k] for c in table.values()) for k in range(len(languages))]
+        logs[n] = {g: [math.log((c[k] + 0.5) / (total[k] + 0.5 * len(table))) for k in range(len(languages))] for g, c in table.items()}
+    prior = [math.log(sum(x == y for _, y in rows) + 1) for x in languages]
+
+    def judge(t):
+        if not t or not any(c.isalpha() for c in t):
+            return "und", 0.0
+        score = [p - max(prior) for p in prior]
+        for w in cut(t):
+            own = [logs[0][w]] if w in logs[0] else next((x for n in language_id.SIZES if (x := [logs[n][g] for g in grams(w, n) if g in logs[n]])), [])
+            for k in range(len(languages)):
+                score[k] += sum(x[k] for x in own) / len(own) if own else 0.0
+        p = [math.exp(x - max(score)) for x in score]
+        return languages[p.index(max(p))], max(p) / sum(p)
+
+    return judge
+
+
+def test_language_model_equals_a_plain_one(spark):
+    rng = random.Random(31)
+    rows = [(i, " ".join("".join(rng.choice("abcdéß" if x == "a" else "cdefgñ") for _ in range(rng.randint(1, 7))) for _ in range(rng.randint(0, 30))), x) for i in range(160) for x in [rng.choice("ab")]]
+    rows += [(500, None, "a"), (501, "12 ² !", "b"), (502, "ABC abc", None), (503, "zzz qqq", None), (504, "", "a"), (None, "abc abd", "a"), (505, "x" * 5000, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.train(docs, 10**9)
+    judge = plain_language_model([(t, x) for i, t, x in rows if x and (i is None or zlib.crc32(str(i).encode()) % 4 != 2)])
+    got = language_id.identify(docs, model).collect()
+    assert sorted(repr(r.doc_id) for r in got) == sorted(repr(r[0]) for r in rows)
+    texts = {r[0]: r[1] for r in rows}
+    for r in got:
+        name, score = judge(texts[r.doc_id])
+        assert r.lang_pred == name and abs(r.score - score) < 1e-6, (r, name, score)
+    assert {r.lang_pred for r in language_id.identify(docs, language_id.train(docs.where("lang is null"))).collect()} == {"und"}
 
 
 def test_language_held_out_accuracy(spark):
@@ -132,7 +264,7 @@ def test_neighbours(spark):
     x = rng.standard_normal((1200, 16))
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(5000, None), (5001, [0.0] * 16), (5002, [float("nan")] * 16)] + [(6000 + i, x[0].tolist()) for i in range(20)]
     v = collision_ann.usable(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
-    got = collision_ann.nearest(v, v.where("vec_id % 50 = 0"), block=500).collect()
+    got = collision_ann.nearest(v, v.where("vec_id % 50 = 0"), block=500 * 16).collect()
     by = {}
     for r in got:
         by.setdefault(r.query_id, {})[r.rank] = r.vec_id
@@ -142,6 +274,42 @@ def test_neighbours(spark):
     assert hit >= 0.9 * 5 * len(range(50, 1200, 50))
 
 
+def test_neighbours_of_repeated_rows_and_few_vectors(spark):
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((30, 6))
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    rows += [rows[0]] * 3 + [rows[7]] * 4 + [(9, x[7].tolist()), (50, x[11].tolist()), (50, x[12].tolist()), (100, [1.0, 2.0])]
+    v = collision_ann.usable(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    got = {}
+    for r in collision_ann.nearest(v, v.where("vec_id % 50 = 0"), block=10 * 6).collect():
+        got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
+    cos = lambda a, b: float(np.dot(a, b) / np.sqrt(np.dot(a, a) * np.dot(b, b)))
+    of = {}
+    for i, w in rows:
+        of.setdefault(i, []).append(np.array(w))
+    for q in (0, 50):
+        best = {i: max(cos(a, b) for a in of[q] for b in ws) for i, ws in of.items() if i != q and len(ws[0]) == 6}
+        want = sorted(best, key=lambda i: (-round(best[i], 12), i))[:5]
+        assert [i for _, i, _ in sorted(got[q])] == want and [k for k, _, _ in sorted(got[q])] == [1, 2, 3, 4, 5]
+        assert all(abs(s - best[i]) < 1e-12 for _, i, s in got[q])
+    assert 100 not in got
+
+
+def test_mixed_rows_without_ids_and_repeated_rows(spark):
+    rows = [(None, "a b c", "s"), (None, "d e f g", "s"), (None, "d e f g", "s"), (1, "h i", "s"), (1, "h i", "s"), (1, "j k l m n", "s"), (2, "o", None), (None, None, "t"), (3, "p q r s t u", "t")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    taken = source_mix.mix_sources(docs).collect()
+    out = source_mix.mixed_documents(docs).collect()
+    words = lambda t: len((t or "").split())
+    assert sum(words(r.text) for r in out) == sum(r.size * math.floor(r.taken / r.size + 0.5) for r in taken if r.size)
+    for src in ("s", "t", None):
+        cap = 2 * sum(words(t) for _, t, x in rows if x == src)
+        assert sum(words(r.text) for r in out if r.source == src) <= cap
+    assert all(out.count(r) <= 2 * rows.count(tuple(r)) for r in out)
+    many = source_mix.mix_sources(docs, buckets=1000).collect()
+    assert sorted(map(repr, many)) == sorted(map(repr, taken))
+
+
 def test_source_mix(corpus):
     docs, texts = corpus
     got = source_mix.mix_sources(docs).collect()
@@ -192,6 +360,44 @@ def test_license_scan(spark):
     assert got == {1: (5, 2, 1, 3, "mit", "mit"), 2: (7, 0, None, None, "", "cc-by-nc-4.0"), 3: (0, 0, None, None, "", ""), 4: (2, 1, 0, 0, "mit", "mit"), 5: (4, 0, None, None, "", "")}
 
 
+SMALL_DOCUMENTS = "/root/testdata/sf0.001/documents.parquet"
+
+
+def test_license_base_columns_equal_plain_ones(spark, corpus):
+    docs = spark.read.parquet(SMALL_DOCUMENTS).select("doc_id", "text")
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    for d, t in ((docs, texts), corpus):
+        got = license_scan.scan(d).collect()
+        assert {r.doc_id: tuple(r)[1:6] for r in got} == {i: brute.license_base(x) for i, x in t.items()}
+        assert all(set(r.base_labels.split(",")) <= set(r.labels.split(",")) | {""} and 0 <= r.score <= 1 for r in got)
+
+
+def test_notices_are_labelled_and_parts_of_them_are_not(spark):
+    filler = "some words before it , "
+    rows = [(k, f"{filler * k}{notice.upper()} . {filler}") for k, (_, _, notice) in enumerate(license_scan.TEMPLATES)]
+    rows += [(100 + k, f"{filler}{' '.join(key.split()[:-1])} something else") for k, (_, key, _) in enumerate(license_scan.TEMPLATES)]
+    got = {r.doc_id: r for r in license_scan.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for k, (label, _, _) in enumerate(license_scan.TEMPLATES):
+        assert label in got[k].labels.split(",") and got[k].score > 0.99, (label, got[k])
+        assert label not in got[100 + k].labels.split(","), got[100 + k]
+
+
+def test_personal_base_columns_equal_plain_ones(spark, corpus):
+    docs = spark.read.parquet(SMALL_DOCUMENTS).select("doc_id", "text")
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    for d, t in ((docs, texts), corpus):
+        for r in pii.extract(d).collect():
+            base = brute.personal_base(t[r.doc_id])
+            listed = [f"{k}:{s}:{e}" for k, spans in base.items() for s, e in spans]
+            assert (r.n_email, r.n_ip, r.n_card, r.n_phone) == tuple(map(len, base.values()))
+            assert r.base_sha256 == hashlib.sha256(",".join(listed).encode()).hexdigest() and set(listed) <= set(r.spans.split(",")) | {""}
+
+
+def test_contexts_hold_whole_words():
+    long = "w" * 5000
+    assert pii.pattern_before(f"{long} is {long} here: x", 5000 + 4 + 5000 + 7) == f"{long} here :" and pii.pattern_before("a", 0) == ""
+
+
 def test_key_phrases_are_found_beside_rarer_words_of_their_notice():
     index = license_scan.Index()
     idf = np.ones(len(index.words))
@@ -241,12 +447,67 @@ def test_empty_tables(spark):
         assert df.count() == 0
 
 
-def test_pipeline_stages(spark):
+def plain_pipeline_input():
+    """Rows with copies, near copies, junk and personal data, ids that are null or repeat."""
+    rng = random.Random(51)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 7)))
+    texts = [" ".join(word() for _ in range(rng.randint(5, 120))) for _ in range(25)]
+    for i in range(8):
+        own = texts[i].split(" ")
+        own[-1] = "changed"
+        texts += [" ".join(own), texts[i]]
+    texts += ["12 34 !", "", None, "mail ann@mail.example.com now please write to me", "host 10.1.2.3 is down since this very morning", texts[0].upper()]
+    return [(None if i % 11 == 10 else i // 2 if i > 45 else i, t, rng.choice(["en", "fr", None]), rng.choice(["s1", "s2", "s3", None])) for i, t in enumerate(texts)]
+
+
+def test_pipeline_equals_plain_stages(spark):
     import corpus_pipeline as C
 
-    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
-    for name, stage in C.STAGES[:-1]:
-        assert stage(spark, docs, "").columns == docs.columns, name
+    assert [n for n, _ in C.STAGES] == ["language_id", "near_dedup", "personal_data", "source_mix", "packing"]
+    rows = plain_pipeline_input()
+    docs = spark.createDataFrame([(*r, 0) for r in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    by_name = dict(C.STAGES)
+    words = lambda t: len(re.findall(r"[^\x20\x09-\x0D]+", t or ""))
+
+    spoken = by_name["language_id"](spark, docs, "")
+    kept = [r for r in rows if any(c.isalpha() for c in r[1] or "")]
+    assert spoken.columns == docs.columns and sorted(repr(tuple(r)[:4]) for r in spoken.collect()) == sorted(map(repr, kept))
+
+    single = by_name["near_dedup"](spark, spoken, "").collect()
+    groups = brute.components({k: r[1] for k, r in enumerate(kept)}, C.NEAR_PERCENT)
+    best = {}
+    for k, (_, root, _) in groups.items():
+        i = kept[k][0]
+        best.setdefault(root, []).append((i is None, i or 0, k))
+    assert len(single) == len(best)
+    left = sorted(repr((r.doc_id, root)) for r in single for root in [next(groups[k][1] for k, x in enumerate(kept) if x[1] == r.text)])
+    assert left == sorted(repr((kept[min(own)[2]][0], root)) for root, own in best.items())
+
+    masked = by_name["personal_data"](spark, spark.createDataFrame(single, docs.schema), "").collect()
+    assert sorted(repr((r.doc_id, r.lang, r.source)) for r in masked) == sorted(repr((r.doc_id, r.lang, r.source)) for r in single)
+    want = sorted(r.text.replace("ann@mail.example.com", "[EMAIL]").replace("10.1.2.3", "[IP]") for r in single)
+    assert sorted(r.text for r in masked) == want and all(r.n_chars == len(r.text) for r in masked if "[" in r.text)
+
+    mixed = by_name["source_mix"](spark, spark.createDataFrame(masked, docs.schema), "").collect()
+    sizes = Counter()
+    for r in masked:
+        sizes[r.source] += words(r.text)
+    weights = dict(zip(sorted((s for s in sizes if s), key=str), (5, 2, 1), strict=False)) | ({None: (5, 2, 1)[(len(sizes) - 1) % 3]} if None in sizes else {})
+    target, open_ones, total = {}, dict(weights), 1.5 * sum(sizes.values())
+    while open_ones:
+        share = {s: (total - sum(target.values())) * w / sum(open_ones.values()) for s, w in open_ones.items()}
+        full = [s for s, x in share.items() if x >= 2 * sizes[s]]
+        target.update({s: 2.0 * sizes[s] for s in full} if full else share)
+        open_ones = {s: w for s, w in open_ones.items() if s not in target}
+    largest = max(words(r.text) for r in masked)
+    for s in sizes:
+        assert abs(sum(words(r.text) for r in mixed if r.source == s) - target[s]) <= largest
+    assert {repr(tuple(r)) for r in mixed} <= {repr(tuple(r)) for r in masked} and max(Counter(map(repr, mixed)).values()) <= 2
+
+    pieces = by_name["packing"](spark, spark.createDataFrame(mixed, docs.schema), "").collect()
+    enc = packing.encoder(packing.vocabulary_path())
+    ids = sorted(zlib.crc32(np.array([*enc.tokenizer.encode(r.text, add_special_tokens=False).ids, 0], "<u4").tobytes()) for r in mixed)
+    assert sorted(p.ids_crc32 for p in pieces) == ids and len({(p.sequence_id, p.offset) for p in pieces}) == len(pieces)
     assert C.run(spark, "/root/testdata/sf0.001").count() > 0
 
 
@@ -305,6 +566,8 @@ def test_odd_rows_of_documents_with_ids(odd):
     assert {r[0]: tuple(r)[1:] for r in minhash_join.near_duplicates(own).collect()} == brute.components(texts)
     repeated = minhash_join.near_duplicates(docs.where("doc_id is not null")).collect()
     assert {tuple(r) for r in repeated} == {(d, *x) for d, x in brute.components(texts).items()}
+    stays = minhash_join.without_near_duplicates(docs.where("doc_id is not null")).collect()
+    assert sorted(r.doc_id for r in stays) == [1, 3, 3, 4, 5, 6] and stays[0].__fields__ == docs.columns
 
 
 def test_odd_rows_are_packed(odd):
