@@ -12,7 +12,6 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from recblock.llm import language_id, minhash_join, packing, pii, source_mix
 from recblock.session import checkpoint_root
@@ -31,17 +30,14 @@ def identified_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
         for batch in batches:
-            yield batch.filter(pa.array([model.judge(t.as_py())[0] != language_id.UNSEEN for t in batch.column("text")], pa.bool_()))
+            yield batch.filter(pa.array([name != language_id.UNSEEN for name in model.judge(batch.column("text"))[0]], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
 
 
 def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each group stays, and so do rows without an id."""
-    judged = minhash_join.near_duplicates(docs.select("doc_id", "text"), percent=NEAR_PERCENT)
-    kept = judged.where("kept or doc_id is null").select(F.col("doc_id").alias("__kept"))
-    rows = docs.select(F.struct(*docs.columns).alias("__row"))
-    return rows.join(kept, rows["__row"]["doc_id"].eqNullSafe(kept["__kept"]), "left_semi").select("__row.*")
+    """One row of each group stays, of least id; see the operator for ids that repeat or are null."""
+    return minhash_join.without_near_duplicates(docs, NEAR_PERCENT)
 
 
 def masked_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
