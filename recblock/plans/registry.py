@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from recblock.plans import methods, surface
+from recblock.plans import experiments, methods, surface
 
 
 def queries():
-    return methods.QUERIES | surface.QUERIES
+    return methods.QUERIES | experiments.QUERIES | surface.QUERIES
 
 
 def oracle_sql():
-    return methods.SQL | surface.SQL
+    return methods.SQL | experiments.SQL | surface.SQL
