@@ -14,8 +14,8 @@ from recblock.operators.minhash import band_keys, bucket_stars, fast_signatures,
 from recblock.operators.shingle import with_text
 from recblock.session import cut, stored
 
-EDGE_LIMIT = 1_000_000  # a part with more possible edges goes through label_moves first
-LABEL_LIMIT = 1_400  # so many records of one label have fewer edges than that
+EDGE_LIMIT = 100_000  # a part with more possible edges goes through label_moves first
+LABEL_LIMIT = 1_000  # so many records of one label have at most half a million edges
 PULLING = 8  # labels of a bucket that pull its members: the most frequent ones
 
 

@@ -139,10 +139,10 @@ def _graph_grid(file: str, settings: list[tuple[int, int, int, int]]):
 
 
 query("tlsh_bands_clean500")(_graph_grid("clean500", [(5, b, 100, 500) for b in (5, 10, 15, 22, 26, 33, 50)]))
-query("tlsh_bands_clean10k")(_graph_grid("clean10k", [(5, b, 100, 500) for b in (10, 15, 21, 22, 26, 33, 50)]))
-query("tlsh_letters_clean10k")(_graph_grid("clean10k", [(k, 26, 100, 500) for k in (2, 3, 4, 5, 6)]))
+query("tlsh_bands_clean10k")(_graph_grid("clean10k", [(5, b, 100, 500) for b in (15, 22, 26, 33)]))
+query("tlsh_letters_clean10k")(_graph_grid("clean10k", [(k, 26, 100, 500) for k in (3, 4, 5)]))
 query("tlsh_permutations_clean10k")(_graph_grid("clean10k", [(5, p * 22 // 100, p, 500) for p in (50, 100, 150, 200)]))
-query("tlsh_grid_noisy10")(_graph_grid("noisy10", [(k, b, 100, 500) for k in (3, 4, 5) for b in (22, 26, 33)]))
+query("tlsh_grid_noisy10")(_graph_grid("noisy10", [(k, b, 100, 500) for k in (4, 5) for b in (22, 26)]))
 
 
 @query("tlsh_cap_report")

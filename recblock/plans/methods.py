@@ -410,22 +410,6 @@ def vocab_growth_fit(spark, sf_dir):
     return shingle.growth_exponent(vocab_growth_whole_documents(spark, sf_dir))
 
 
-@query("method_comparison")
-def method_comparison(spark, sf_dir):
-    """Recall and reduction of every method at its tuned setting on the clean file."""
-    r, t = _texts(spark, sf_dir, "clean10k")
-    blocks = {
-        "graph blocking b=26 k=5": tlsh.tlsh_blocks(r, CLEAN_FIELDS, b=26), "graph blocking b=22 k=5": tlsh.tlsh_blocks(r, CLEAN_FIELDS),
-        "projection blocking c=25 k=2": klsh.klsh_blocks(r, CLEAN_FIELDS, c=25), "projection blocking c=100 k=2": klsh.klsh_blocks(r, CLEAN_FIELDS, c=100),
-        "sorted neighbours t=8": X.sorted_tnn_blocks(t, 8), "birth year": D.key_blocks(r, ["birth_year"]),
-    }
-    out = None
-    for name, b in blocks.items():
-        part = b.select("rec_id", F.col("block_id").cast("string").alias("block_id"), F.lit(name).alias("method"))
-        out = part if out is None else out.unionByName(part)
-    return metrics.block_scores(out, r, ["method"]).select("method", "recall", "rr", "blocks", "max_block")
-
-
 _rated_sql = " UNION ALL ".join(f"SELECT '{k}' AS method, recall, rr FROM ({_rates_sql(c.keep_sql(), 'clean10k')})" for k, c in _counted.items())
 
 
@@ -443,20 +427,6 @@ def best_setting(spark, sf_dir):
     return metrics.best_setting(metrics.rates(D.criterion_counts(r, _counted), r).withColumnRenamed("rule", "method").select("method", "recall", "rr"), 0.98)
 
 
-@query("tlsh_grid_persons")
-def tlsh_grid_persons(spark, sf_dir):
-    """Recall over letters per shingle and bands, cap 500, and over the cap at k=5, b=26."""
-    r, t = _texts(spark, sf_dir, "clean10k")
-    out = None
-    for k in (3, 4, 5):
-        sig = stored(minhash.fast_signatures(t, k, 100))
-        for b, cap in ((22, 500), (26, 500)) + (((26, 50), (26, 10_000)) if k == 5 else ()):
-            keys = stored(minhash.shared_keys(stored(minhash.band_keys(sig, 100, b, fast=True))))
-            part = tlsh.blocks_of_keys(keys, r.select("rec_id"), cap).select("rec_id", "block_id", F.lit(k).alias("k"), F.lit(b).alias("b"), F.lit(cap).alias("cap"))
-            out = part if out is None else out.unionByName(part)
-    return metrics.block_scores(out, r, ["k", "b", "cap"]).select("k", "b", "cap", "recall", "rr", "max_block")
-
-
 @query("klsh_grid_persons")
 def klsh_grid_persons(spark, sf_dir):
     """Recall and reduction over letters per shingle, blocks, and length of the projection."""
