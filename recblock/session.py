@@ -22,13 +22,15 @@ def local_session(cores: int = 8, name: str = "recblock", shuffle_partitions: in
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; only where that is unset (tests on
-    one machine) a temporary folder is taken."""
+    """The shared folder named by spark.checkpoint.dir; only where that is unset on a single
+    machine (as in tests) a temporary folder is taken. A cluster must name one."""
     jsc = spark.sparkContext._jsc.sc()
     current = jsc.getCheckpointDir()
     if current.isDefined():
         return current.get()
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir names no shared folder")
     spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="recblock_checkpoint_"))
     return jsc.getCheckpointDir().get()
 
