@@ -32,14 +32,18 @@ def unit_bags(texts: DataFrame, k: int = 2) -> DataFrame:
     return bags.select("rec_id", F.col("b.h").alias("terms"), F.transform("b.w", lambda w: w / F.col("norm")).alias("ws"))
 
 
-def epsilon_pairs(texts: DataFrame, t: float, k: int = 2, metric: str = "tfidf", block: int = 1024) -> DataFrame:
+def epsilon_pairs(texts: DataFrame, t: float, k: int = 2, metric: str = "tfidf", block: int = 1024, way: str = "auto") -> DataFrame:
     """(id_a, id_b, distance) of all pairs within t. ``tfidf``: Euclidean distance of unit vectors;
     ``cosine``: one less their cosine; ``jaccard``: one less the share of common shingles.
 
     Prefix filter: a vector's rarest terms, as many as leave a rest shorter than the least
     similarity, are its prefix; two near vectors share a term of both prefixes. Each prefix term's
     records are compared in cells of at most two blocks, whatever their number, and a pair is told
-    by its first common prefix term only."""
+    by its first common prefix term only.
+
+    ``way``: ``prefix``, or ``blocks``, which compares all blocks with each other once, as is
+    cheaper where prefixes are so long and frequent (a wide t, small alphabets) that their records
+    make more comparisons than there are pairs; ``auto`` counts both. The rows are the same."""
     if metric == "jaccard":
         percent = math.ceil(round((1 - t) * 100, 6))
         return similar_pairs(texts, percent, k).select("id_a", "id_b", (1 - F.col("jaccard")).alias("distance")).where(F.col("distance") <= t)
@@ -59,6 +63,12 @@ def epsilon_pairs(texts: DataFrame, t: float, k: int = 2, metric: str = "tfidf",
         return pa.array(np.minimum(1 + long[end] - long[end - length], length), pa.int32())
 
     placed = bags.select("rec_id", "terms", "ws", F.posexplode(F.slice("terms", F.lit(1), prefix_length("ws"))).alias("at", "term"))
+    if way == "auto":
+        placed = stored(placed)
+        one = placed.groupBy("term").agg(F.count("*").cast("double").alias("n")).agg(F.sum(F.col("n") * F.col("n"))).first()[0]
+        way = "blocks" if one and one > float(bags.count()) ** 2 else "prefix"
+    if way == "blocks":
+        placed = bags.select("rec_id", "terms", "ws", F.lit(0).alias("at"), F.lit(0).cast("long").alias("term"))
     many = placed.groupBy("term").agg(F.ceil(F.count("*") / block).cast("int").alias("g"), F.count("*").alias("n")).where("n > 1")
     cells = placed.join(many, "term").withColumn("own", F.pmod(F.xxhash64("rec_id", "term"), "g").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
     cells = cells.select("term", "at", "rec_id", "terms", "ws", "own", F.least("own", "other").alias("ci"), F.greatest("own", "other").alias("cj"))

@@ -46,8 +46,9 @@ def test_epsilon_pairs_equal_brute_force(spark):
                     d = 1 - sim if metric == "cosine" else max(0.0, round(2 - 2 * sim, 9)) ** 0.5
                     if d <= at:
                         want[a, b] = round(d, 6)
-        got = cluster.epsilon_pairs(t, at, 2, metric, block).collect()
-        assert len(got) == len({(r.id_a, r.id_b) for r in got}) and {(r.id_a, r.id_b): round(r.distance, 6) for r in got} == want
+        for way in ("auto", "prefix", "blocks"):
+            got = cluster.epsilon_pairs(t, at, 2, metric, block, way).collect()
+            assert len(got) == len({(r.id_a, r.id_b) for r in got}) and {(r.id_a, r.id_b): round(r.distance, 6) for r in got} == want
     assert cluster.epsilon_pairs(t.limit(0), 0.5).count() == 0
     with pytest.raises(ValueError):
         cluster.epsilon_pairs(t, 1.5)
