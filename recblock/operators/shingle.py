@@ -45,20 +45,15 @@ def shingle_counts(texts: DataFrame, k: int) -> DataFrame:
     return texts.select("rec_id", F.explode(char_shingles(F.col("rec_text"), k)).alias("term")).groupBy("rec_id", "term").agg(F.count("*").alias("tf"))
 
 
-def vocabulary_growth(texts: DataFrame, k: int, sizes: list[int]) -> DataFrame:
-    """Distinct shingles among the first n records, for each n; (n, w_n)."""
-    terms = texts.select("rec_id", F.explode(shingle_set(F.col("rec_text"), k)).alias("term")).groupBy("term").agg(F.min("rec_id").alias("first"))
-    rows = terms.select(F.explode(F.array(*[F.lit(n).cast("long") for n in sizes])).alias("n"), "first").where("first < n")
-    return rows.groupBy("n").agg(F.count("*").alias("w_n"))
-
-
-def vocabulary_growth_whole(texts: DataFrame, k: int, shares: tuple[int, ...] = (16, 8, 4, 2, 1)) -> DataFrame:
-    """Distinct shingles among the first records in order of id, whatever the ids are, for one
-    n-th of the records for each of ``shares``, 1 being all; (n, w_n)."""
+def vocabulary_growth(texts: DataFrame, k: int, sizes: list[int] | None = None, shares: tuple[int, ...] = (16, 8, 4, 2, 1)) -> DataFrame:
+    """Distinct shingles among the first n records in order of id, whatever the ids are; (n, w_n).
+    Without ``sizes``, n is an nth of the records for each of ``shares``, 1 being all of them. A size
+    is given if it holds a shingle; an empty table gives no rows."""
     placed = running_sums(texts, [F.col("rec_id")], {"place": F.lit(1)})
     terms = placed.select("place", F.explode(shingle_set(F.col("rec_text"), k)).alias("term")).groupBy("term").agg(F.min("place").alias("first"))
-    total = texts.count()
-    sizes = sorted({-(-total // d) for d in shares if total})
+    if sizes is None:
+        total = texts.count()
+        sizes = sorted({-(-total // d) for d in shares if total})
     if not sizes:
         return terms.select(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("w_n")).limit(0)
     rows = terms.select(F.explode(F.array(*[F.lit(n).cast("long") for n in sizes])).alias("n"), "first").where("first <= n")

@@ -391,23 +391,18 @@ def anonymity_level_birth_year(spark, sf_dir):
     return metrics.anonymity_level(D.key_blocks(persons(spark, sf_dir, "clean10k"), ["birth_year"]), 100)
 
 
-@query("vocab_growth_documents", f"WITH t AS (SELECT term, min(rec_id) AS f FROM ({_terms_sql('documents', 3)}) GROUP BY term) SELECT n, count(*) AS w_n FROM t, (VALUES (50), (100), (200), (400), (800)) AS v(n) WHERE f < n GROUP BY n")
-def vocab_growth_documents(spark, sf_dir):
-    return shingle.vocabulary_growth(_document_texts(spark, sf_dir), 3, [50, 100, 200, 400, 800])
-
-
 _growth_sql = f"WITH r AS (SELECT doc_id AS rec_id, row_number() OVER (ORDER BY doc_id) AS p FROM documents), t AS (SELECT term, min(p) AS f FROM ({_terms_sql('documents', 3)}) JOIN r USING (rec_id) GROUP BY term), v AS (SELECT DISTINCT n FROM (SELECT CAST(ceil(count(*) / d) AS BIGINT) AS n FROM r, (VALUES (16), (8), (4), (2), (1)) AS s(d) GROUP BY d)) SELECT n, count(*) AS w_n FROM t JOIN v ON f <= n GROUP BY n"
 
 
-@query("vocab_growth_whole_documents", _growth_sql)
-def vocab_growth_whole_documents(spark, sf_dir):
-    """Growth to the whole table; ``vocab_growth_documents`` has the ids below 800 of its SQL."""
-    return shingle.vocabulary_growth_whole(_document_texts(spark, sf_dir), 3)
+@query("vocab_growth_documents", _growth_sql)
+def vocab_growth_documents(spark, sf_dir):
+    """Growth to the whole table, in order of id."""
+    return shingle.vocabulary_growth(_document_texts(spark, sf_dir), 3)
 
 
 @query("vocab_growth_fit", f"SELECT round(regr_slope(ln(w_n), ln(n)), 6) AS beta FROM ({_growth_sql})")
 def vocab_growth_fit(spark, sf_dir):
-    return shingle.growth_exponent(vocab_growth_whole_documents(spark, sf_dir))
+    return shingle.growth_exponent(vocab_growth_documents(spark, sf_dir))
 
 
 _rated_sql = " UNION ALL ".join(f"SELECT '{k}' AS method, recall, rr FROM ({_rates_sql(c.keep_sql(), 'clean10k')})" for k, c in _counted.items())
