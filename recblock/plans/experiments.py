@@ -244,6 +244,31 @@ def criteria_clean500(spark, sf_dir):
     return _union([plain, *edited])
 
 
+# files that grow with the table
+
+
+@query("criteria_all_orders", " UNION ALL ".join(f"SELECT '{k}' AS rule, kept, kept_true, recall, rr FROM ({M._rates_sql(c.keep_sql(), 'clean_all')})" for k, c in M._counted.items()))
+def criteria_all_orders(spark, sf_dir):
+    """Criteria without an edit distance over the file made of all orders, counted without pairs."""
+    r = cut(D.derive(persons(spark, sf_dir, "clean_all")))
+    return metrics.rates(D.criterion_counts(r, M._counted), r).select("rule", "kept", "kept_true", "recall", "rr")
+
+
+@query("sorted_tnn_all_orders", M._block_rates_sql("clean_all", M._sorted_sql("clean_all", 6), "6 AS t"))
+def sorted_tnn_all_orders(spark, sf_dir):
+    r, t = M._texts(spark, sf_dir, "clean_all")
+    return metrics.block_scores(X.sorted_tnn_blocks(t, 6).withColumn("t", F.lit(6)), r, ["t"]).select("t", "recall", "rr", "blocks", "max_block")
+
+
+@query("blocking_all_orders")
+def blocking_all_orders(spark, sf_dir):
+    """Graph and projection blocking over the file made of all orders."""
+    r = stored(persons(spark, sf_dir, "clean_all"))
+    fields = fields_of("clean_all")
+    blocks = {"graph blocking k=5 b=26": tlsh.tlsh_blocks(r, fields, 5, 100, 26), "projection blocking k=2 100 blocks": klsh.klsh_blocks(r, fields, 2, 150, 100, 5)}
+    return _scored([_named(stored(b), method=name) for name, b in blocks.items()], r, ["method"])
+
+
 @query("errors_and_richer_text")
 def errors_and_richer_text(spark, sf_dir):
     """Graph and projection blocking over 1, 3 and 5 errors a copy, with and without the whole text of a document that the copies share."""

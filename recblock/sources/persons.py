@@ -50,21 +50,26 @@ def _typo(dialect: str, column: str, ident: str, tag: str) -> str:
     return f"substr({column}, 1, CAST({at} - 1 AS INT)) || {new} || substr({column}, CAST({at} + 1 AS INT))"
 
 
-def clean_sql(dialect: str, n: int = 10_000, most: int = 200) -> str:
-    """n records, a tenth of them copies with one error each."""
-    originals, copies = n - n // 10, n // 10
+def clean_sql(dialect: str, n: int | None = 10_000, most: int = 200) -> str:
+    """n records, a tenth of them copies with one error each. Without n, every order is an
+    original and every ninth has a copy; ids are then even and odd, so no count is needed."""
+    if n is None:
+        inside, original_id, copy_id, copied = "", "2 * e", "2 * e + 1", "e % 9 = 0"
+    else:
+        originals, copies = n - n // 10, n // 10
+        inside, original_id, copy_id, copied = f"WHERE o_orderkey < {originals}", "e", f"e + {originals}", f"e < {copies}"
     u = lambda *p: chance(dialect, *p)
     year = f"CASE WHEN {u('e', "'yk'")} < 0.55 THEN y - y % 10 + (y % 10 + 1 + {pick(dialect, 9, 'e', "'yd'")}) % 10 ELSE 1920 + (y - 1920 + 10 * (1 + {pick(dialect, 7, 'e', "'ye'")})) % 80 END"
     return f"""WITH {names_cte(dialect, most)},
 base AS (SELECT o_orderkey AS e, {_name_index(dialect, 'firsts', 'o_orderkey', "'first'")} AS fi, {_name_index(dialect, 'lasts', 'o_orderkey', "'last'")} AS li,
   1920 + {pick(dialect, 80, 'o_orderkey', "'year'")} AS y, 1 + {pick(dialect, 12, 'o_orderkey', "'month'")} AS m, 1 + {pick(dialect, 28, 'o_orderkey', "'day'")} AS d
-  FROM orders WHERE o_orderkey < {originals}),
+  FROM orders {inside}),
 named AS (SELECT e, firsts.w AS f, lasts.w AS l, y, m, d, {u('e', "'field'")} AS hit FROM base JOIN firsts ON firsts.i = fi JOIN lasts ON lasts.i = li),
-every AS (SELECT e AS rec_id, e AS entity_id, f, l, y, m, d FROM named UNION ALL
-SELECT e + {originals}, e, CASE WHEN hit < 0.30 THEN {_typo(dialect, 'f', 'e', 'f')} ELSE f END, CASE WHEN hit >= 0.30 AND hit < 0.60 THEN {_typo(dialect, 'l', 'e', 'l')} ELSE l END,
+every AS (SELECT {original_id} AS rec_id, e AS entity_id, f, l, y, m, d FROM named UNION ALL
+SELECT {copy_id}, e, CASE WHEN hit < 0.30 THEN {_typo(dialect, 'f', 'e', 'f')} ELSE f END, CASE WHEN hit >= 0.30 AND hit < 0.60 THEN {_typo(dialect, 'l', 'e', 'l')} ELSE l END,
   CASE WHEN hit >= 0.60 AND hit < 0.76 THEN {year} ELSE y END, CASE WHEN hit >= 0.76 AND hit < 0.89 THEN 1 + (m + {pick(dialect, 11, 'e', "'mm'")}) % 12 ELSE m END,
   CASE WHEN hit >= 0.89 THEN 1 + (d + {pick(dialect, 27, 'e', "'dd'")}) % 28 ELSE d END
-FROM named WHERE e < {copies})
+FROM named WHERE {copied})
 SELECT rec_id, entity_id, f AS first_name, l AS last_name, CAST(y AS INT) AS birth_year, CAST(m AS INT) AS birth_month, CAST(d AS INT) AS birth_day FROM every"""
 
 
@@ -113,7 +118,7 @@ drawn AS (SELECT *, {draws} FROM copied)
 SELECT e AS rec_id, e AS entity_id, {fields} FROM named UNION ALL SELECT rec_id, e AS entity_id, {changed} FROM drawn"""
 
 
-FILES = {"clean10k": ("clean", {}), "clean500": ("clean", {"n": 500}), "noisy10": ("noisy", {"percent": 10}), "noisy30": ("noisy", {"percent": 30}), "noisy50": ("noisy", {"percent": 50})}
+FILES = {"clean10k": ("clean", {}), "clean500": ("clean", {"n": 500}), "clean_all": ("clean", {"n": None}), "noisy10": ("noisy", {"percent": 10}), "noisy30": ("noisy", {"percent": 30}), "noisy50": ("noisy", {"percent": 50})}
 
 
 def file_sql(dialect: str, name: str, n: int | None = None) -> str:
@@ -123,9 +128,9 @@ def file_sql(dialect: str, name: str, n: int | None = None) -> str:
 
 
 def persons(spark: SparkSession, sf_dir: str, name: str, n: int | None = None) -> DataFrame:
-    """A person file; smaller when ``orders`` is too small for it (as at the smoke scale)."""
+    """A person file, ``clean_all`` of all orders; the others are smaller when ``orders`` is too small for it (as at the smoke scale)."""
     orders = spark.read.parquet(f"{sf_dir}/orders.parquet")
-    if n is None and FILES[name][1].get("n", 10_000) > 1000 and orders.count() < 10_000:
+    if n is None and (FILES[name][1].get("n", 10_000) or 0) > 1000 and orders.count() < 10_000:
         n = 1000
     orders.createOrReplaceTempView("orders")
     spark.read.parquet(f"{sf_dir}/documents.parquet").createOrReplaceTempView("documents")
