@@ -45,10 +45,11 @@ def _letters() -> np.ndarray:
     return np.array([(c.isalnum() and not c.isdecimal()) | c.isalpha() << 1 for c in map(chr, range(0x110000))], np.uint8)
 
 
-def cut_words(texts: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """Chunk by chunk: first text, last text + 1, code points, start and end of each word, its
+def cut_words(texts: pa.Array, size: int = K.SLICE) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Chunk by chunk of about ``size`` bytes: first text, last text + 1, code points, start and end of each word, its
     text's number, and whether each text has a letter."""
-    for a, b, data, offs in K.chunks(pc.utf8_lower(texts)):
+    for a, b in K.bounds(texts, size):
+        data, offs = K.buffers(pc.utf8_lower(texts.slice(a, b - a)))
         head = np.flatnonzero((data & 0xC0) != 0x80)
         codes = np.frombuffer(data.tobytes().decode().encode("utf-32-le"), np.uint32)
         edges = np.searchsorted(head, offs)
@@ -149,16 +150,12 @@ class Model:
         return names, scores
 
 
-def _sums(keys: list[np.ndarray], counts: np.ndarray, languages: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct (size, hash) and their counts by language."""
-    size, h, k = keys
-    order = np.lexsort((h, size))
-    size, h, k, counts = size[order], h[order], k[order], counts[order]
-    new = np.append(True, (size[1:] != size[:-1]) | (h[1:] != h[:-1])) if len(h) else np.zeros(0, bool)
-    group = np.cumsum(new) - 1
-    table = np.zeros((int(new.sum()), languages), np.int64)
+def _sums(h: np.ndarray, k: np.ndarray, counts: np.ndarray, languages: int) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes and their counts by language."""
+    distinct, group = np.unique(h, return_inverse=True)
+    table = np.zeros((len(distinct), languages), np.int64)
     np.add.at(table, (group, k), counts)
-    return size[new], h[new], table
+    return distinct, table
 
 
 def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
@@ -175,23 +172,19 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model:
     width = len(languages)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Counts of words and n-grams of a chunk; each distinct word is cut into n-grams once."""
+        """Counts of words and n-grams of a chunk, one size after the other; each distinct word is cut into n-grams once."""
         for batch in batches:
             language = batch.column(0).to_numpy()
-            for a, _, codes, start, end, doc, _ in cut_words(batch.column(1)):
+            for a, _, codes, start, end, doc, _ in cut_words(batch.column(1), K.CHUNK):
                 h = word_hashes(codes, start, end)
                 of = language[a + doc].astype(np.uint64)
-                pair, where, times = np.unique(K.mixed(h ^ (of * _STEP)), return_index=True, return_counts=True)
-                size, hashes, ks, ns = [np.zeros(len(pair), np.int64)], [h[where]], [of[where]], [times]
-                for n in SIZES:
-                    g, owner = gram_hashes(codes, start[where], end[where], n)
-                    size.append(np.full(len(g), n))
-                    hashes.append(g)
-                    ks.append(of[where][owner])
-                    ns.append(times[owner])
-                s, x, table = _sums([np.concatenate(size), np.concatenate(hashes), np.concatenate(ks).astype(np.int64)], np.concatenate(ns), width)
-                lists = pa.FixedSizeListArray.from_arrays(pa.array(table.ravel()), width).cast(pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([pa.array(s.astype(np.int32)), pa.array(x.view(np.int64)), lists], ["size", "h", "c"])
+                _, where, times = np.unique(K.mixed(h ^ (of * _STEP)), return_index=True, return_counts=True)
+                h, of, start, end = h[where], of[where].astype(np.int64), start[where], end[where]
+                for n in (0, *SIZES):
+                    g, owner = gram_hashes(codes, start, end, n) if n else (h, np.arange(len(h)))
+                    x, table = _sums(g, of[owner], times[owner], width)
+                    lists = pa.FixedSizeListArray.from_arrays(pa.array(table.ravel()), width).cast(pa.list_(pa.int64()))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), n, np.int32)), pa.array(x.view(np.int64)), lists], ["size", "h", "c"])
 
     counted = sample.mapInArrow(count, "size int, h long, c array<long>")
     sums = counted.groupBy("size", "h").agg(*[F.sum(F.col("c")[i]).alias(f"c{i}") for i in range(width)])

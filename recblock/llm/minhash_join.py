@@ -78,7 +78,7 @@ def signatures(docs: DataFrame, width: int, trees: int, levels: int) -> DataFram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, data, offs in K.chunks(batch.column(3)):
+            for a, b, data, offs in K.chunks(batch.column(3), K.SLICE):
                 full, at = shingles(data, offs, width)
                 size = np.diff(at)
                 some = np.flatnonzero(size)
@@ -171,10 +171,15 @@ def _compared(members: DataFrame, width: int, percent: int) -> DataFrame:
 
         def done(part: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
             sets: list[np.ndarray] = []
-            texts = pa.array([un.decompress(z) for _, _, z in part], pa.large_binary())
-            for _, _, data, offs in K.chunks(texts):
-                full, at = shingles(data, offs, width)
-                sets += [full[x:y].copy() for x, y in zip(at[:-1], at[1:], strict=True)]
+            texts: list[bytes] = []
+            waiting = 0
+            for k, (_, _, z) in enumerate(part):
+                texts.append(un.decompress(z))
+                waiting += len(texts[-1])
+                if waiting > K.SLICE or k == len(part) - 1:
+                    full, at = shingles(*K.buffers(pa.array(texts, pa.large_binary())), width)
+                    sets += [full[x:y].copy() for x, y in zip(at[:-1], at[1:], strict=True)]
+                    texts, waiting = [], 0
             src, dst, i = [], [], 0
             while i < len(part):
                 j = i
@@ -211,10 +216,10 @@ def packed_texts(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tight = zstandard.ZstdCompressor(level=1)
         for batch in batches:
-            data, offs = K.buffers(batch.column(2))
-            raw = memoryview(data)
-            z = [tight.compress(raw[x:y]) for x, y in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], ["doc_id", "text_hash", "z"])
+            for a, b, data, offs in K.chunks(batch.column(2)):
+                raw = memoryview(data)
+                z = [tight.compress(raw[x:y]) for x, y in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), pa.array(z, pa.binary())], ["doc_id", "text_hash", "z"])
 
     text = F.col("text").cast("string")
     return docs.select("doc_id", F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, f"doc_id {kind}, text_hash long, z binary")

@@ -24,6 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from recblock.llm import textkernel as K
 from recblock.session import cut
 
 #: The base patterns, in the order in which kinds are listed.
@@ -164,7 +165,7 @@ def occurrences(docs: DataFrame) -> DataFrame:
     mention = pa.struct([("s", pa.int32()), ("e", pa.int32()), ("kind", pa.string()), ("pattern", pa.string()), ("instance", pa.int64()), ("seed", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part for whole in batches for part in K.parts(whole, 1)):
             counts: dict[str, list[int]] = {k: [] for k in KINDS[:4]}
             shas, spans, mentions = [], [], []
             for scalar in batch.column(1):
@@ -237,7 +238,7 @@ def masked(docs: DataFrame) -> DataFrame:
     both = rows.join(spans, rows["__row"]["doc_id"].eqNullSafe(spans["__id"]) & (F.col("__h") == F.col("__hash")), "left").select("__row.*", "__spans")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part for whole in batches for part in K.parts(whole, "text")):
             texts = batch.column("text").to_pylist()
             for i, listed in enumerate(batch.column(batch.num_columns - 1).to_pylist()):
                 if listed:
