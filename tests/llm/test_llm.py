@@ -384,6 +384,35 @@ def test_packing_covers_every_length_near_the_bound():
         assert sum(t for _, t in plan) <= low * 1.02 + 1, (size, total, low)
 
 
+def test_weights_better_a_start_that_is_near_the_bound():
+    for size, histogram, fewest in (
+        (20, {2: 3809, 3: 1191, 4: 1677, 8: 1263, 10: 2578, 11: 720, 12: 1433, 13: 449}, 4238),
+        (40, {6: 1838, 7: 372, 11: 290, 13: 492, 14: 1792, 19: 356, 21: 1531, 25: 1988}, 3519),
+    ):
+        start = sum(t for _, t in packing.configurations(histogram, size, 0))
+        low = packing.lower_bound(histogram, size)
+        assert fewest < start <= low * 1.01
+        plan = packing.configurations(histogram, size)
+        held = Counter()
+        for config, times in plan:
+            held.update({k: n * times for k, n in config.items()})
+        assert held == histogram and sum(t for _, t in plan) <= fewest
+
+
+def test_dearest_configuration_is_that_of_all_lengths():
+    rng = np.random.default_rng(16)
+    for size in (1, 2, 7, 24, 25):
+        for _ in range(40):
+            price = np.where(rng.random(size + 1) < 0.6, rng.random(size + 1), 0.0)
+            price[0] = 0.0
+            best = [0.0] * (size + 1)
+            for c in range(1, size + 1):
+                best[c] = max(best[c - k] + price[k] for k in range(1, c + 1))
+            config, value = packing.dearest(price, size)
+            assert (config * np.arange(size + 1)).sum() <= size and not config[price == 0].any()
+            assert abs(value - best[size]) < 1e-9 and abs((config * price).sum() - value) < 1e-9
+
+
 def test_full_sequences_take_no_more_pieces_than_are_left():
     rng = random.Random(15)
     for _ in range(200):
